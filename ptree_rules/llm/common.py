@@ -62,3 +62,8 @@ def id_or_least(doc_id: str = "doc_id") -> Column:
 
 def id_back(column: str) -> Column:
     return F.when(F.col(column) != NO_ID, F.col(column))
+
+
+def small_or_joined(df: DataFrame, most_rows: int) -> DataFrame:
+    """df, a written table of short rows, marked for broadcast if it has at most so many rows; else for a shuffled join."""
+    return F.broadcast(df) if df.count() <= most_rows else df.hint("merge")
