@@ -1,6 +1,6 @@
 """The queries of this subpackage, and their SQL where SQL can express them."""
 
-from . import chat_format, chunk_dedup, exact_dedup, language_id, line_dedup, mixing, packing, simhash, topk_search
+from . import chat_format, chunk_dedup, exact_dedup, language_id, line_dedup, mixing, packing, simhash, suffix_dedup, topk_search
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
@@ -12,5 +12,6 @@ QUERIES = {
     "op7_line_dedup": line_dedup.op7_line_dedup,
     "op8_chat_format": chat_format.op8_chat_format,
     "op9_chunk_dedup": chunk_dedup.op9_chunk_dedup,
+    "op10_suffix_dedup": suffix_dedup.op10_suffix_dedup,
 }
 ORACLE_SQL = exact_dedup.SQL | topk_search.SQL | line_dedup.SQL | chat_format.SQL
