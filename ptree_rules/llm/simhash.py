@@ -193,8 +193,10 @@ def near_groups(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANC
 def one_of_each_group(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANCE) -> DataFrame:
     """docs(doc_id, ...) without the documents that are not the least doc_id of their component; rows of one id stay together."""
     groups = near_groups(docs.select("doc_id", "text"), shingle, distance)
-    stay = written(groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(id_or_least().alias("stays")).distinct(), "stays")
-    return docs.join(stay, id_or_least() == F.col("stays"), "left_semi")
+    stays = F.col("doc_id").eqNullSafe(F.col("component_id"))
+    goes = groups.groupBy(id_or_least().alias("goes")).agg(F.max(stays).alias("stays")).where(~F.col("stays"))
+    # What goes is the smaller side: while it is small, documents' texts aren't shuffled.
+    return docs.join(written(goes.select("goes"), "goes"), id_or_least() == F.col("goes"), "left_anti")
 
 
 def op6_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
