@@ -38,14 +38,17 @@ class Trees:
         self.items = items or build_items(InfoTable(rows, info.conditions, info.decisions))
         if counting == "segments":
             self.store = written(build_segments(rows, self.items, segment), "segments")
-            self.n = self.store.agg(F.sum("n")).first()[0] or 0
-            roots = segment_items(self.store).groupBy("item_id").agg(F.sum("root_cnt").alias("cnt"))
+            # One job for the headers: the root counts, and the tuples as those of item -1.
+            heads = segment_items(self.store).select("item_id", "root_cnt").union(self.store.select(F.lit(-1), "n"))
+            roots = heads.groupBy("item_id").agg(F.sum("root_cnt").alias("cnt"))
         else:
             numbered = assign_tids(rows, mode="segment").withColumn("tid", F.col("segment") * SEGMENT + F.col("offset"))
             self.n = numbered.count()
             self.store = written(build_words(bitmap_long(numbered, self.items)).repartition("word_id"), "words")
             roots = root_counts(self.store)
         self.roots = {r.item_id: r.cnt for r in roots.collect()}  # a number per item
+        if counting == "segments":
+            self.n = self.roots.pop(-1, 0)
 
     def count(self, candidates: Sequence[Itemset]) -> tuple[list[int], int]:
         """Counts of sorted itemsets, and the ANDs of vectors done (0 where they aren't counted)."""
