@@ -31,7 +31,8 @@ def main() -> None:
     from ptree_rules.catalogue import QUERIES
     from ptree_rules.plans.grid import cells, run_cell
 
-    run_cell(spark, "/root/testdata/sf0.001", "w1", "free", "ptree")  # compiles code and starts workers
+    for cell in cells(methods=("ptree", "apriori")):  # compiles code and starts workers
+        run_cell(spark, os.path.join(os.path.dirname(SF_DIR.rstrip("/")), "sf0.001"), *cell)
     seconds: dict[str, float] = {}
     rules: dict[str, int] = {}
     for cell in cells():
