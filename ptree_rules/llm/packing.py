@@ -181,12 +181,18 @@ def _tokenized(ranks: str, pattern: str, capacity: int):
     return run
 
 
-def tokenized_pieces(docs: DataFrame, capacity: int = SEQUENCE) -> DataFrame:
+def tokenized_pieces(docs: DataFrame, capacity: int = SEQUENCE, ranks_path: str | None = None, pattern: str | None = None) -> DataFrame:
     """The pieces of every row of docs(doc_id, text): its ids and the end id, cut from the end into pieces of the capacity,
-    so that only the first may be shorter. Null text is empty: one piece of the end id alone."""
-    import public_tokenizers as vocabularies
+    so that only the first may be shorter. Null text is empty: one piece of the end id alone.
 
-    run = _tokenized(vocabularies.path("byte_bpe_50k.tiktoken"), vocabularies.PATTERN, capacity)
+    ranks_path is the vocabulary as ranks and pattern its pre-tokenizer, at the same place on every executor; the installed
+    public byte-level vocabulary by default.
+    """
+    if ranks_path is None:
+        import public_tokenizers as vocabularies
+
+        ranks_path, pattern = vocabularies.path("byte_bpe_50k.tiktoken"), vocabularies.PATTERN
+    run = _tokenized(ranks_path, pattern, capacity)
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, _PIECES)
 
 

@@ -120,7 +120,7 @@ def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _linked(prints: np.ndarray, distance: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Links that connect what is connected by pairs within the distance: a breadth-first walk in which each fingerprint is
+    """Links that connect what is connected by pairs within the distance: a walk in which each fingerprint is
     compared with those not reached yet, all at once. No pair is written but those of the walk."""
     left, out = prints, []
     while len(left) > 1:
