@@ -28,8 +28,10 @@ from .common import discard, id_back, id_or_least, small_or_joined, table, text_
 LENGTH, ANCHOR = 200, 64
 #: Up to so many repeated anchors (16 bytes each) are broadcast; beyond that they are joined by a shuffle.
 FEW_ANCHORS = 1_000_000
+#: Texts unpacked at a time, so that their contexts as Python objects take little memory.
+_TEXTS = 250
 #: Windows of a text handled at a time, and bytes of one lot of the suffix sort.
-_SEGMENT, _LOT = 400_000, 24_000_000
+_SEGMENT, _LOT = 400_000, 2_000_000
 _BASE = 0x9E3779B97F4A7C15
 
 
@@ -99,6 +101,12 @@ def _anchored(length: int, size: int):
     return run
 
 
+def _few(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for lo in range(0, batch.num_rows, _TEXTS):
+            yield batch.slice(lo, _TEXTS)
+
+
 _SEEN = "k1 long, k2 long, c1 long, c2 long, uid long, a int, n int"
 
 
@@ -109,7 +117,7 @@ def _contexts(length: int, size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         half = (length - size) // 2
         digest = xxhash.xxh3_128_digest
-        for batch in batches:
+        for batch in _few(batches):
             keys, seen, uids, first, count = [], [], [], [], []
             for uid, t, runs_ in zip(batch.column("uid").to_pylist(), batch.column("text"), batch.column("runs").to_pylist(), strict=True):
                 raw = t.as_buffer().to_pybytes()
@@ -131,7 +139,7 @@ def _contexts(length: int, size: int):
 
 def _fetched(length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in _few(batches):
             out: dict[str, list] = {k: [] for k in ("k1", "k2", "c1", "c2", "seen")}
             for t, wanted in zip(batch.column("text"), batch.column("wanted").to_pylist(), strict=True):
                 raw = t.as_buffer().to_pybytes()
@@ -286,9 +294,9 @@ def repeated_bytes(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
 
     contexts = written(touched.mapInArrow(_contexts(length, anchor), _SEEN), "contexts")
     context, key = ["k1", "k2", "c1", "c2"], ["k1", "k2"]
-    place = F.struct("uid", "a")
-    distinct = contexts.groupBy(*context).agg(F.min(place).alias("at"), F.max(place).alias("last"), F.first("n").alias("n"))
-    distinct = written(distinct.withColumn("copied", F.col("at") != F.col("last")).drop("last"), "distinct")
+    # A place has each of its contexts once, so a context counted twice stands at two places.
+    distinct = contexts.groupBy(*context).agg(F.min(F.struct("uid", "a")).alias("at"), F.first("n").alias("n"), (F.count("*") > 1).alias("copied"))
+    distinct = written(distinct, "distinct")
     groups = written(distinct.groupBy(*key).agg(F.count("*").alias("contexts")).where("contexts > 1").select(*key), "groups")
     # One context in a group: its windows repeat if the context does. More: the suffix sort tells.
     open_ = distinct.join(groups, key, "left_semi")
