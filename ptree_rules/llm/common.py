@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: Stands for a null doc_id inside the operators: such rows come first in every order.
 NO_ID = -(2**63)
+#: Makes a finished job give up its shuffle files at once, not when the driver next collects garbage.
+_FREE_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 _own: dict[str, str] = {}
 
@@ -35,10 +37,16 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """df as a Parquet table in the shared folder: lineage ends there, and a lost executor costs no recomputation."""
+    """df as a Parquet table in the shared folder: lineage ends there, and a lost executor costs no recomputation. As nothing
+    reads the job's shuffles after that, their files go with it; the session's own setting holds again afterwards."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(_FREE_SHUFFLES, None)
+    spark.conf.set(_FREE_SHUFFLES, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_FREE_SHUFFLES) if before is None else spark.conf.set(_FREE_SHUFFLES, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._written_at = path  # for discard()
     return out
