@@ -5,7 +5,8 @@ equal anchors at the same place; windows whose anchor occurs once can't repeat.
 grouped by a longer gram around the anchor, and equal contexts become one. (3) Contexts that differ within a group are dealt
 by group, and each lot is suffix-sorted by a difference cover: sampled triples are sorted and named, names are made triples
 again until they cover the length, the other suffixes are merged in, and neighbours are compared. Steps 1 and 2 only leave out
-what provably has no partner, or has one; nothing is sampled or capped.
+what provably has no partner, or has one; nothing is sampled or capped. A group of very many contexts is no single lot: its
+contexts are cut into narrower ones with longer grams first, and again if need be, so that they spread over many groups.
 """
 
 from __future__ import annotations
@@ -32,6 +33,8 @@ FEW_ANCHORS = 1_000_000
 _TEXTS = 250
 #: Windows of a text handled at a time, and bytes of one lot of the suffix sort.
 _SEGMENT, _LOT = 400_000, 2_000_000
+#: A group of more contexts is cut, and how many windows its parts have at each cut. A part of one window is its own gram.
+CROWD, _WIDTHS = 5_000, (9, 2, 1)
 _BASE = 0x9E3779B97F4A7C15
 
 
@@ -107,18 +110,19 @@ def _few(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield batch.slice(lo, _TEXTS)
 
 
-_SEEN = "k1 long, k2 long, c1 long, c2 long, uid long, a int, n int"
+_SEEN = "k1 long, k2 long, c1 long, c2 long, uid long, a int, n int, d int"
+_PARTS = f"p1 long, p2 long, p3 long, p4 long, shift int, {_SEEN}"
 
 
 def _contexts(length: int, size: int):
     """For each run of windows with a repeated anchor: those that hold more to the left of it, and the others. Both see a gram
-    of half the rest of the window besides the anchor, which keys them; c1, c2 digest all they see and where the anchor is."""
+    of half the rest of the window besides the anchor, which keys them; c1, c2 digest all they see and where the anchor is: d bytes after the first of the windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         half = (length - size) // 2
         digest = xxhash.xxh3_128_digest
         for batch in _few(batches):
-            keys, seen, uids, first, count = [], [], [], [], []
+            keys, seen, uids, first, count, before = [], [], [], [], [], []
             for uid, t, runs_ in zip(batch.column("uid").to_pylist(), batch.column("text"), batch.column("runs").to_pylist(), strict=True):
                 raw = t.as_buffer().to_pybytes()
                 for r in runs_:
@@ -130,9 +134,46 @@ def _contexts(length: int, size: int):
                             uids.append(uid)
                             first.append(a)
                             count.append(b - a + 1)
+                            before.append(pos - a)
             if uids:
-                k, c = (np.frombuffer(b"".join(x), "<i8").reshape(-1, 2).T.copy() for x in (keys, seen))
-                yield pa.record_batch([*map(pa.array, (*k, *c)), pa.array(uids, pa.int64()), pa.array(first, pa.int32()), pa.array(count, pa.int32())], ["k1", "k2", "c1", "c2", "uid", "a", "n"])
+                yield _seen_batch([], keys, seen, uids, first, count, before)
+
+    return run
+
+
+def _seen_batch(parents: list[pa.Array], keys: list[bytes], seen: list[bytes], uids: list[int], *places: list[int]) -> pa.RecordBatch:
+    k, c = (np.frombuffer(b"".join(x), "<i8").reshape(-1, 2).T.copy() for x in (keys, seen))
+    names = [x.split()[0] for x in (_PARTS if parents else _SEEN).split(", ")]
+    return pa.record_batch([*parents, *map(pa.array, (*k, *c)), pa.array(uids, pa.int64()), *(pa.array(x, pa.int32()) for x in places)], names)
+
+
+def _parts(length: int, width: int):
+    """Contexts cut where the anchor's distance from a window is a multiple of width; a part is keyed by the gram that all
+    windows of such a part share, and equal windows still meet, as they are as far from their anchors."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        digest = xxhash.xxh3_128_digest
+        for batch in _few(batches):
+            parents, shift, keys, seen, uids, first, count, before = [], [], [], [], [], [], [], []
+            for uid, t, wanted in zip(batch.column("uid").to_pylist(), batch.column("text"), batch.column("wanted").to_pylist(), strict=True):
+                raw = t.as_buffer().to_pybytes()
+                for w in wanted:
+                    pos, least = w["a"] + w["d"], w["d"] - w["n"] + 1
+                    for block in range(least // width, w["d"] // width + 1):
+                        far, near = min(w["d"], block * width + width - 1), max(least, block * width)
+                        gram = raw[pos - block * width : pos - (block * width + width - 1) + length]
+                        tag = f"{width} {block} ".encode()
+                        parents.append((w["k1"], w["k2"], w["c1"], w["c2"]))
+                        shift.append(w["d"] - far)
+                        keys.append(digest(tag + gram))
+                        seen.append(digest(tag + raw[pos - far : pos - near + length] + far.to_bytes(4, "little")))
+                        uids.append(uid)
+                        first.append(pos - far)
+                        count.append(far - near + 1)
+                        before.append(far)
+            if uids:
+                own = [pa.array(x) for x in np.array(parents, np.int64).T.copy()]
+                yield _seen_batch([*own, pa.array(shift, pa.int32())], keys, seen, uids, first, count, before)
 
     return run
 
@@ -271,7 +312,43 @@ def _texts(docs: DataFrame) -> DataFrame:
     return docs.select(id_or_least().alias("doc"), F.unhex(F.sha2(text.cast("binary"), 256)).alias("sha"), text.cast("binary").alias("text"))
 
 
-def repeated_bytes(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR) -> DataFrame:
+_CONTEXT, _KEY = ["k1", "k2", "c1", "c2"], ["k1", "k2"]
+_SPANS = "array<struct<start:int,end:int>>"
+
+
+def _hits(touched: DataFrame, contexts: DataFrame, length: int, crowd: int, widths: tuple[int, ...]) -> DataFrame:
+    """k1, k2, c1, c2 and hits, the spans of windows that repeat, counted from the context's first; a context may have several rows."""
+    # A place has each of its contexts once, so a context counted twice stands at two places.
+    distinct = contexts.groupBy(*_CONTEXT).agg(F.min(F.struct("uid", "a")).alias("at"), F.first("n").alias("n"), F.first("d").alias("d"), (F.count("*") > 1).alias("copied"))
+    distinct = written(distinct, "distinct")
+    groups = written(distinct.groupBy(*_KEY).agg(F.count("*").alias("contexts")).where("contexts > 1"), "groups")
+    crowded = F.col("contexts") > crowd if widths else F.lit(False)
+
+    def asked(keys: DataFrame, *columns) -> DataFrame:
+        """Texts with what is wanted of them: the contexts of these groups, each at one of its places."""
+        wanted = distinct.join(keys.select(*_KEY), _KEY, "left_semi").select("at.uid", F.struct(*_CONTEXT, "at.a", "n", *columns).alias("w"))
+        return touched.select("uid", "text").join(wanted.groupBy("uid").agg(F.collect_list("w").alias("wanted")), "uid")
+
+    # One context in a group: its windows repeat if the context does. More: the suffix sort tells.
+    seen = asked(groups.where(~crowded)).mapInArrow(_fetched(length), "k1 long, k2 long, c1 long, c2 long, seen binary")
+    lots = seen.repartition(*_KEY).sortWithinPartitions(*_KEY)
+    judged = written(lots.mapInArrow(_sorted_lots(length), f"k1 long, k2 long, c1 long, c2 long, hits {_SPANS}"), "judged")
+    whole = F.array(F.struct(F.lit(0).alias("start"), F.col("n").alias("end"))).cast(_SPANS)
+    hits = distinct.where("copied").select(*_CONTEXT, whole.alias("hits")).unionByName(judged.where(F.size("hits") > 0))
+    spent = [judged]
+    if not groups.where(crowded).isEmpty():
+        parts = written(asked(groups.where(crowded), "d").mapInArrow(_parts(length, widths[0]), _PARTS), "parts")
+        below = _hits(touched, parts, length, crowd, widths[1:])
+        moved = F.transform("hits", lambda x: F.struct((x["start"] + F.col("shift")).alias("start"), (x["end"] + F.col("shift")).alias("end")))
+        parents = [F.col(f"p{i}").alias(c) for i, c in enumerate(_CONTEXT, 1)]
+        hits = hits.unionByName(parts.join(below, _CONTEXT).select(*parents, moved.cast(_SPANS).alias("hits")))
+        spent += [parts, below]
+    out = written(hits, "hits")
+    discard(distinct, groups, *spent)
+    return out
+
+
+def repeated_bytes(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR, crowd: int = CROWD) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of docs(doc_id, text).
 
     A byte goes if a string of `length` bytes that covers it starts anywhere else too, in the same document or another; all
@@ -293,22 +370,9 @@ def repeated_bytes(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
     touched = written(kept, "touched")
 
     contexts = written(touched.mapInArrow(_contexts(length, anchor), _SEEN), "contexts")
-    context, key = ["k1", "k2", "c1", "c2"], ["k1", "k2"]
-    # A place has each of its contexts once, so a context counted twice stands at two places.
-    distinct = contexts.groupBy(*context).agg(F.min(F.struct("uid", "a")).alias("at"), F.first("n").alias("n"), (F.count("*") > 1).alias("copied"))
-    distinct = written(distinct, "distinct")
-    groups = written(distinct.groupBy(*key).agg(F.count("*").alias("contexts")).where("contexts > 1").select(*key), "groups")
-    # One context in a group: its windows repeat if the context does. More: the suffix sort tells.
-    open_ = distinct.join(groups, key, "left_semi")
-    wanted = open_.select("at.uid", F.struct(*context, "at.a", "n").alias("w")).groupBy("uid").agg(F.collect_list("w").alias("wanted"))
-    seen = touched.select("uid", "text").join(wanted, "uid").mapInArrow(_fetched(length), "k1 long, k2 long, c1 long, c2 long, seen binary")
-    lots = seen.repartition(*key).sortWithinPartitions(*key)
-    span = "array<struct<start:int,end:int>>"
-    judged = written(lots.mapInArrow(_sorted_lots(length), f"k1 long, k2 long, c1 long, c2 long, hits {span}"), "judged")
-    whole = F.array(F.struct(F.lit(0).alias("start"), F.col("n").alias("end"))).cast(span)
-    hits = distinct.where("copied").select(*context, whole.alias("hits")).unionByName(judged.where(F.size("hits") > 0))
-    hits = written(hits, "hits")
-    found = contexts.join(hits, context).select("uid", "a", F.explode("hits").alias("x"))
+    widths = tuple(w for w in _WIDTHS if w < length - anchor)
+    hits = _hits(touched, contexts, length, crowd, widths)
+    found = contexts.join(hits, _CONTEXT).select("uid", "a", F.explode("hits").alias("x"))
     found = found.groupBy("uid").agg(F.collect_list(F.struct((F.col("a") + F.col("x.start")).alias("start"), (F.col("a") + F.col("x.end")).alias("end"))).alias("x"))
     cut = touched.select("uid", "text").join(found.select("uid", "x.start", "x.end"), "uid")
     cut = written(cut.mapInArrow(_outcomes(length), "uid long, n_removed long, n_spans long, kept_sha256 string"), "cut")
@@ -322,7 +386,7 @@ def repeated_bytes(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         F.when(gone, none).otherwise(F.coalesce("kept_sha256", F.lower(F.hex("sha")))).alias("kept_sha256"),
     )
     outcome = written(outcome, "outcome")
-    discard(touched, contexts, distinct, groups, judged, hits, again)
+    discard(touched, contexts, hits, again)
     return rows.select("doc", "sha", "n_bytes").join(outcome, "sha").select(id_back("doc").alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 

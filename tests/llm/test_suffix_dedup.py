@@ -61,8 +61,8 @@ def test_equal_windows_have_equal_anchors():
     assert of(one)[77 : 77 + 301] == of(two)[:301]
 
 
-def run(spark, rows, length=200, parts=4):
-    got = repeated_bytes(spark.createDataFrame(rows, "doc_id long, text string").repartition(parts), length)
+def run(spark, rows, length=200, parts=4, **options):
+    got = repeated_bytes(spark.createDataFrame(rows, "doc_id long, text string").repartition(parts), length, **options)
     return sorted(map(tuple, got.collect()), key=repr)
 
 
@@ -81,7 +81,9 @@ def test_repeated_bytes(spark):
         near[rng.integers(0, 150)] = word()
         rows.append((400 + i, " ".join(near)))
     rows += [(500, "ab" * 150), (501, "x" * 199), (502, "y" * 201), (503, "é" * 101), (504, words(20) + "z" * 230 + words(20)), (505, other + "|" + other)]
-    assert run(spark, rows) == brute(rows, 200)
+    wanted = brute(rows, 200)
+    assert run(spark, rows) == wanted
+    assert run(spark, rows, crowd=1) == wanted  # every group is cut until its contexts are alone or equal
 
 
 def test_hard_input(spark, hard, none):
