@@ -1,0 +1,284 @@
+"""Near copies by the Jaccard similarity of their sets of word shingles: an exact join by prefixes, components of what it links."""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import xxhash
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import id_or_least, small_or_joined, text_or_empty, written
+from .components import components
+
+#: Shingle length in words, the least similarity of a link as a fraction, seed of the shingle hash.
+SHINGLE, ALIKE, SEED = 5, (4, 5), 43
+#: Rows that frequent shingles are looked for in, how often one is seen there at least, and the most that are told apart.
+SAMPLE_ROWS, SEEN_LEAST, MOST_COMMON = 10_000, 2, 200_000
+#: Bits of a set's parity map, and of that of a set in a pair: the first tells little of sets over 2,000, the second over 30,000.
+BITS, WIDE = 1024, 16_384
+#: Up to so many rows, a table of ids is broadcast to the texts.
+FEW_ROWS = 200_000
+
+
+def shingles(text: bytes, shingle: int = SHINGLE) -> np.ndarray:
+    """The hashes of a text's different shingles, ascending; a shorter text is one shingle, one without words has none."""
+    words = text.lower().split()
+    k = min(shingle, len(words))
+    if not k:
+        return np.zeros(0, np.uint64)
+    flat = b" ".join(words)
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
+    starts = np.append(0, ends[:-1] + 1)[: len(words) - k + 1].tolist()
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(flat[a:b], SEED) for a, b in zip(starts, ends[k - 1 :].tolist(), strict=True)], np.uint64))
+
+
+def class_of(found: np.ndarray) -> int:
+    return int(np.uint64(xxhash.xxh64_intdigest(found.tobytes(), SEED)).astype(np.int64))
+
+
+def prefix(found: np.ndarray, common: tuple[np.ndarray, np.ndarray], alike: tuple[int, int]) -> np.ndarray:
+    """The rarest shingles of a set, so many that two sets that are alike share one whatever the order: they share at least
+    that fraction of either, so of one's all but so many are not enough without the other's first."""
+    tokens, counts = common
+    rank = np.zeros(len(found), np.int64)
+    if len(tokens):
+        at = np.minimum(np.searchsorted(tokens, found), len(tokens) - 1)
+        rank = np.where(tokens[at] == found, counts[at], 0)
+    shared = -(-len(found) * alike[0] // alike[1])
+    return found[np.lexsort((found, rank))][: max(0, len(found) - shared + 1)] if len(found) else found
+
+
+def parity(found: np.ndarray, bits: int = BITS) -> bytes:
+    """So many sums modulo two: the maps of two sets differ in no more bits than the sets in members."""
+    return np.packbits((np.bincount((found & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes()
+
+
+def _texts(batch: pa.RecordBatch) -> Iterator[bytes]:
+    for t in batch.column("text"):
+        yield t.as_buffer().to_pybytes() if t.is_valid else b""
+
+
+_SETS = "cls long, found array<long>, bits binary"
+
+
+def _sets(shingle: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [shingles(t, shingle) for t in _texts(batch)]
+            columns = {
+                "cls": pa.array([class_of(s) for s in found], pa.int64()),
+                "found": pa.array([s.view(np.int64) for s in found], pa.list_(pa.int64())),
+                "bits": pa.array([parity(s, WIDE) for s in found], pa.binary()),
+            }
+            yield pa.RecordBatch.from_pydict(columns)
+
+    return run
+
+
+def _described(shingle: int, alike: tuple[int, int], common):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [shingles(t, shingle) for t in _texts(batch)]
+            columns = {
+                "id": batch.column("id"),
+                "cls": pa.array([class_of(s) for s in found], pa.int64()),
+                "n": pa.array([len(s) for s in found], pa.int32()),
+                "bits": pa.array([parity(s) for s in found], pa.binary()),
+                "prefix": pa.array([prefix(s, common.value, alike).view(np.int64) for s in found], pa.list_(pa.int64())),
+            }
+            yield pa.RecordBatch.from_pydict(columns)
+
+    return run
+
+
+def _runs(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[dict[str, np.ndarray]]:
+    """The rows of each key of a sorted partition, over the borders of batches; keys of one row are left out."""
+    held: list[pa.RecordBatch] = []
+    columns = lambda parts: {n: np.concatenate([_column(p, n) for p in parts]) for n in parts[0].schema.names}
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        keys = batch.column(key).to_numpy()
+        cuts = np.append(np.flatnonzero(np.append(True, keys[1:] != keys[:-1])), len(keys))
+        if held and held[-1].column(key)[-1].as_py() != keys[0]:
+            if sum(b.num_rows for b in held) > 1:
+                yield columns(held)
+            held = []
+        if len(cuts) > 2:
+            if held or cuts[1] > 1:
+                yield columns([*held, batch.slice(0, cuts[1])])
+            whole = columns([batch])
+            for g in np.flatnonzero(np.diff(cuts) > 1):
+                if 0 < g < len(cuts) - 2:
+                    yield {n: c[cuts[g] : cuts[g + 1]] for n, c in whole.items()}
+            held = []
+        held.append(batch.slice(cuts[-2]))
+    if sum(b.num_rows for b in held) > 1:
+        yield columns(held)
+
+
+def _column(batch: pa.RecordBatch, name: str) -> np.ndarray:
+    column = batch.column(name)
+    if pa.types.is_binary(column.type):
+        return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(len(column), -1)
+    return column.to_numpy()
+
+
+def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The different sets of classes that share a shingle of their prefixes; near copies share many, so most are repeats."""
+    known: set[int] = set()
+    out: list[tuple[int, np.ndarray]] = []
+    rows = 0
+    for run in _runs(batches, "token"):
+        name = class_of(run["cls"])
+        if name in known:
+            continue
+        if len(known) < 1 << 20:  # repeats over that or in other partitions go later
+            known.add(name)
+        out.append((name, run["cls"]))
+        rows += len(run["cls"])
+        if rows > 100_000:
+            yield _named(out)
+            out, rows = [], 0
+    if out:
+        yield _named(out)
+
+
+def _named(out: list[tuple[int, np.ndarray]]) -> pa.RecordBatch:
+    return pa.record_batch([pa.array([n for n, _ in out], pa.int64()), pa.array([c for _, c in out], pa.list_(pa.int64()))], ["bucket", "classes"])
+
+
+def _may_be_alike(n: np.ndarray, bits: np.ndarray, i: int, alike: tuple[int, int]) -> np.ndarray:
+    """Which sets can be alike with set i, by sizes and parity maps; none that is alike is left out."""
+    p, q = alike
+    total = n + n[i]
+    differ = total - 2 * -(-p * total // (p + q))  # at most so many members aren't shared
+    close = (q * np.minimum(n, n[i]) >= p * np.maximum(n, n[i])) & (differ >= 0)
+    at = np.flatnonzero(close)
+    close[at] = np.bitwise_count(bits[at] ^ bits[i]).sum(1, dtype=np.int64) <= differ[at]
+    return close
+
+
+def _tree(cls: np.ndarray, n: np.ndarray, bits: np.ndarray, alike: tuple[int, int]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs that connect what pairs that may be alike connect: a walk, each set against those not reached yet."""
+    left = np.arange(len(cls))
+    while len(left) > 1:
+        todo, left = [left[0]], left[1:]
+        while todo and len(left):
+            at = todo.pop()
+            rows = np.append(at, left)
+            close = _may_be_alike(n[rows], bits[rows], 0, alike)[1:]
+            if close.any():
+                yield np.full(int(close.sum()), cls[at]), cls[left[close]]
+                todo += left[close].tolist()
+                left = left[~close]
+
+
+def _across(cls: np.ndarray, n: np.ndarray, bits: np.ndarray, root: np.ndarray, alike: tuple[int, int]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs of different components that may be alike; each member of the smaller ones against what comes after them."""
+    _, name, size = np.unique(root, return_inverse=True, return_counts=True)
+    if len(size) == 1:
+        return
+    order = np.lexsort((name, size[name]))
+    cls, n, bits, name = cls[order], n[order], bits[order], name[order]
+    end = np.searchsorted(np.cumsum(name[1:] != name[:-1]), np.arange(1, len(size)), "left") + 1  # first row of each later component
+    for start, after in zip(np.append(0, end[:-1]), end, strict=True):
+        for i in range(start, after):
+            rows = np.append(i, np.arange(after, len(cls)))
+            close = _may_be_alike(n[rows], bits[rows], 0, alike)[1:]
+            if close.any():
+                yield np.full(int(close.sum()), cls[i]), cls[after:][close]
+
+
+def _pairs(alike: tuple[int, int], across: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for g in _runs(batches, "bucket"):
+            n = g["n"].astype(np.int64)
+            found = _across(g["cls"], n, g["bits"], g["root"], alike) if across else _tree(g["cls"], n, g["bits"], alike)
+            for a, b in found:
+                yield pa.record_batch([pa.array(np.minimum(a, b)), pa.array(np.maximum(a, b))], ["a", "b"])
+
+    return run
+
+
+def _near_maps(alike: tuple[int, int]):
+    """Of pairs with both sets' sizes and wide maps, those that may be alike."""
+    p, q = alike
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            total = _column(batch, "n_a").astype(np.int64) + _column(batch, "n_b")
+            differ = total - 2 * -(-p * total // (p + q))
+            close = np.bitwise_count(_column(batch, "bits_a") ^ _column(batch, "bits_b")).sum(1, dtype=np.int64) <= differ
+            yield pa.record_batch([batch.column(x).filter(pa.array(close)) for x in "ab"], ["a", "b"])
+
+    return run
+
+
+def _alike(docs: DataFrame, classes: DataFrame, pairs: DataFrame, shingle: int, alike: tuple[int, int]) -> DataFrame:
+    """The pairs(a, b) whose shared and different shingles, counted, are alike."""
+    pairs = written(pairs.distinct(), "pairs")
+    nodes = pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
+    wanted = written(classes.select("cls", "least").join(nodes, "cls").select("least").distinct(), "wanted")
+    texts = docs.join(small_or_joined(wanted, FEW_ROWS), F.col("id") == F.col("least")).select("text")
+    # Rows that repeat an id may bring other classes along, and copies of the same.
+    sets = written(texts.mapInArrow(_sets(shingle), _SETS).dropDuplicates(["cls"]), "sets")
+    maps = [sets.select(F.col("cls").alias(x), F.size("found").alias(f"n_{x}"), F.col("bits").alias(f"bits_{x}")) for x in "ab"]
+    pairs = written(pairs.join(maps[0], "a").join(maps[1], "b").mapInArrow(_near_maps(alike), "a long, b long"), "near-pairs")
+    one, two = sets.select(F.col("cls").alias("a"), F.col("found").alias("of_a")), sets.select(F.col("cls").alias("b"), F.col("found").alias("of_b"))
+    shared = F.size(F.array_intersect("of_a", "of_b"))
+    return pairs.join(one, "a").join(two, "b").where(shared * sum(alike) >= (F.size("of_a") + F.size("of_b")) * alike[0]).select("a", "b")
+
+
+def near_copies(docs: DataFrame, shingle: int = SHINGLE, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """id and component for every row of docs(doc_id, text); null ids are NO_ID.
+
+    Rows whose sets of shingles (of 64-bit hashes) are equal are one class. Two classes are linked if their sets' Jaccard
+    similarity is alike[0]/alike[1] or more; a component's name is the least id in it. No link is missed: two such sets share
+    one of their rarest n - ceil(n * alike) + 1 shingles in any order common to all, so classes meet by these. The order puts
+    what is frequent in a bounded sample last; the sample moves work only, never results. Of classes that met, sizes and parity
+    maps rule out what cannot be alike; pairs of what is left are held against wider maps, and the rest is counted. First the pairs of a walk, then, between the components these
+    give, all pairs that are left, so a large group of near copies isn't paired as a whole.
+    """
+    spark = docs.sparkSession
+    docs = docs.select(id_or_least().alias("id"), text_or_empty().alias("text"))
+    rows = docs.count()
+    draw = F.xxhash64(F.lit(SEED), "id") < F.lit(int(-(2**63) + 2**64 * min(0.999999, SAMPLE_ROWS / max(1, rows))))
+    sample = docs.where(draw).select("text").mapInArrow(_sets(shingle), _SETS).select(F.explode("found").alias("token"))
+    often = sample.groupBy("token").agg(F.count("*").alias("n")).where(F.col("n") >= SEEN_LEAST)
+    got = often.orderBy(F.desc("n"), "token").limit(MOST_COMMON).toPandas()
+    tokens, counts = got["token"].to_numpy(np.int64).view(np.uint64), got["n"].to_numpy(np.int64)
+    order = np.argsort(tokens)
+    common = spark.sparkContext.broadcast((tokens[order], counts[order]))
+    described = docs.mapInArrow(_described(shingle, alike, common), "id long, cls long, n int, bits binary, prefix array<long>")
+    described = written(described, "described")
+    classes = described.groupBy("cls").agg(F.min("id").alias("least"), *(F.any_value(c).alias(c) for c in ("n", "bits", "prefix")))
+    classes = written(classes, "classes")
+    met = classes.select(F.explode("prefix").alias("token"), "cls").repartition("token").sortWithinPartitions("token", "cls")
+    buckets = written(met.mapInArrow(_buckets, "bucket long, classes array<long>").dropDuplicates(["bucket"]), "buckets")
+    members = buckets.select("bucket", F.explode("classes").alias("cls")).join(classes.select("cls", "n", "bits"), "cls")
+    walk = members.repartition("bucket").sortWithinPartitions("bucket", "n", "cls").mapInArrow(_pairs(alike, False), "a long, b long")
+    links = written(_alike(docs, classes, walk, shingle, alike), "links")
+    roots = components(links)
+    placed = members.join(roots, F.col("cls") == F.col("node"), "left").select("bucket", "cls", "n", "bits", F.coalesce("root", "cls").alias("root"))
+    rest = placed.repartition("bucket").sortWithinPartitions("bucket", "n", "cls").mapInArrow(_pairs(alike, True), "a long, b long")
+    roots = components(links.unionByName(_alike(docs, classes, rest, shingle, alike)))
+    known = classes.join(roots, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("root", "cls").alias("root"))
+    known = written(known, "rooted")
+    least = known.groupBy("root").agg(F.min("least").alias("component"))
+    named = known.join(least, "root").select("cls", "component")
+    return described.select("id", "cls").join(named, "cls").select("id", "component")
+
+
+def one_of_each_group(docs: DataFrame, shingle: int = SHINGLE, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """docs(doc_id, ...) without the documents that are not the least doc_id of their component; rows of one id stay together."""
+    groups = near_copies(docs.select("doc_id", "text"), shingle, alike)
+    goes = groups.groupBy("id").agg(F.max(F.col("id") == F.col("component")).alias("stays")).where(~F.col("stays"))
+    # What goes is the smaller side: while it is small, documents' texts aren't shuffled.
+    return docs.join(written(goes.select(F.col("id").alias("goes")), "goes"), id_or_least() == F.col("goes"), "left_anti")

@@ -1,0 +1,86 @@
+from itertools import combinations
+
+import numpy as np
+import pytest
+
+import ptree_rules.llm.near_copies as near
+from ptree_rules.llm.near_copies import near_copies, one_of_each_group
+
+pipeline = pytest.importorskip("corpus_pipeline")
+
+
+def brute(rows, shingle=5, p=4, q=5):
+    """id -> least id of its component, by comparing all sets of shingles."""
+    sets = []
+    for _, t in rows:
+        w = (t or "").encode().lower().split()
+        k = min(shingle, len(w))
+        sets.append({b" ".join(w[i : i + k]) for i in range(len(w) - k + 1)} if k else set())
+    root = list(range(len(rows)))
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, b in combinations(range(len(rows)), 2):
+        if q * len(sets[a] & sets[b]) >= p * len(sets[a] | sets[b]):
+            root[top(a)] = top(b)
+    ids = [-(2**63) if i is None else i for i, _ in rows]
+    least = {}
+    for i in range(len(rows)):
+        least[top(i)] = min(ids[i], least.get(top(i), ids[i]))
+    return sorted((ids[i], least[top(i)]) for i in range(len(rows)))
+
+
+def planted(seed, groups=12):
+    """Near copies of 40 to 400 words with one word changed up to what is well under the bound, and texts that share passages."""
+    rng = np.random.default_rng(seed)
+    words = lambda n: [f"w{i}" for i in rng.integers(0, 3000, n)]
+    passage, rows = words(60), []
+    for g in range(groups):
+        base = words(int(rng.integers(40, 400)))
+        for k in range(5):
+            text = list(base)
+            for at in rng.integers(0, len(text), 1 + k * len(text) // 200):
+                text[at] = f"new{g}-{k}-{at}"
+            rows.append(text + (passage if k == 4 else []))
+    return [(1000 - i, " ".join(t)) for i, t in enumerate(rows)]
+
+
+def found(df):
+    return sorted((r.id, r.component) for r in near_copies(df).collect())
+
+
+@pytest.mark.parametrize("least_seen", [3, 10**9])
+def test_planted_near_copies(spark, monkeypatch, least_seen):
+    monkeypatch.setattr(near, "SEEN_LEAST", least_seen)
+    rows = planted(1)
+    want = brute(rows)
+    assert 20 < sum(i != c for i, c in want) < 55
+    assert found(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)) == want
+
+
+def test_stage_drops_near_copies(spark):
+    rows = [(i, t, "en", "s1", len(t)) for i, t in planted(2)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r.doc_id for r in dict(pipeline.STAGES)["near-dedup"](spark, docs, "").collect()}
+    assert got == {i for i, c in brute([(r[0], r[1]) for r in rows]) if i == c}
+
+
+def test_large_group_and_chain(spark):
+    rng = np.random.default_rng(4)
+    base = [f"w{i}" for i in rng.integers(0, 500, 120)]
+    rows = []
+    for i in range(80):
+        if i % 2:
+            base = list(base)
+            base[rng.integers(0, 120)] = f"new{i}"
+        rows.append((i, " ".join([*base[: 118 + i % 3], f"end{i}"])))
+    assert found(spark.createDataFrame(rows, "doc_id long, text string")) == brute(rows)
+
+
+def test_hard_input(hard, none):
+    assert found(hard) == brute([(r.doc_id, r.text) for r in hard.collect()])
+    assert near_copies(none).count() == 0
+    assert one_of_each_group(hard).columns == hard.columns
