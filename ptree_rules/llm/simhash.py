@@ -173,8 +173,11 @@ def near_groups(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANC
     Rows with one fingerprint are one class, so a large group of copies is one row from there on. Classes meet by fuzzy keys
     (fuzzy_keys) and are verified by their distance; per key only the links of a walk are written, never all its pairs. A
     component's id is the least doc_id in it. Null or empty text, and text without words, has fingerprint zero and links
-    like any other. Null ids come before all others and give a null component_id.
+    like any other. Null ids come before all others and give a null component_id. A distance over three is an error, as
+    fuzzy keys are proven for three bits.
     """
+    if distance > DISTANCE:
+        raise ValueError(f"fuzzy keys find up to {DISTANCE} differing bits, not {distance}")
     rows = docs.select(id_or_least().alias("id"), text_or_empty().alias("text")).mapInArrow(_fingerprints(shingle), "id long, fp long")
     rows = written(rows, "fingerprints")
     classes = written(rows.groupBy("fp").agg(F.min("id").alias("least")), "classes")
