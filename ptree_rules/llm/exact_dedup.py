@@ -1,4 +1,4 @@
-"""Exact dedup by a tree of merges over sorted digest runs; DataFrame functions only."""
+"""Exact dedup by a tree of hash aggregations over runs of digests, in place of merges of sorted runs; DataFrame functions only."""
 
 from __future__ import annotations
 
