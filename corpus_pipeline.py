@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ptree_rules.llm import language_id, line_dedup, mixing, near_copies, packing
+from ptree_rules.llm import language_id, line_dedup, mixing, packing, simhash_alike
 from ptree_rules.llm.common import DOC_COLUMNS, written
 
 #: The language stage rejects what has no letter, and what the model gives a lower probability than this.
@@ -30,7 +30,7 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The least doc_id of every group of near copies: five-word shingles of a similarity of 0.8 or more."""
-    return near_copies.one_of_each_group(docs.select(*DOC_COLUMNS))
+    return simhash_alike.one_of_each_group(docs.select(*DOC_COLUMNS))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
