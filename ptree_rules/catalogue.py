@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 from . import oracles as O
 from .functions import discretize, measures
 from .functions.bits import and_mask, morton, padded_size, register_sql
-from .operators import anding, candidates, items, ptree, tids
+from .operators import anding, candidates, items, ptree, segment_trees, tids
 from .operators import rules as R
 from .plans import baselines, grid
 from .plans.miner import Trees, append_segments, frequent_items, mine_ptree, mine_segmented
@@ -74,16 +75,18 @@ def item_histogram(spark, sf_dir):
 
 
 def _w1_dense(spark, sf_dir):
-    info = W.w1(spark, sf_dir)
-    return tids.dense_tids(info.df, list(info.attributes)), items.build_items(info), info
+    """Order lines numbered by key; the attributes after it decide among the lines that share one."""
+    info, df = W.w1(spark, sf_dir), W.w1_keyed(spark, sf_dir)
+    return tids.dense_tids(df, [*W.W1_KEY, *info.attributes]).select("tid", *info.attributes), items.build_items(info), info
+
+
+_W1_ITEMS = {"rf": "ANR", "ls": "FO", "os": "FOP", "qty": ("lo", "mid", "hi"), "disc": ("lo", "mid", "hi"), "class": ("c1", "c2", "c3", "c4"), "oy": range(1995, 2002)}
 
 
-@query(f"""WITH {O.dense()} SELECT tid, CAST(class = 'c1' AS INTEGER) AS "class=c1", CAST(class = 'c2' AS INTEGER) AS "class=c2",
-    CAST(class = 'c3' AS INTEGER) AS "class=c3", CAST(class = 'c4' AS INTEGER) AS "class=c4" FROM t""")
+@query(f"WITH {O.dense()} SELECT tid, " + ", ".join(f"CAST({a} = '{v}' AS INTEGER) AS \"{a}={v}\"" for a, vs in _W1_ITEMS.items() for v in vs) + " FROM t")
 def bitmap_wide(spark, sf_dir):
     df, dic, _ = _w1_dense(spark, sf_dir)
-    own = items.ItemDict(tuple(x for x in dic.items if x[0] == "class"))
-    return items.bitmap_wide(df, own, ["tid"])
+    return items.bitmap_wide(df, dic, ["tid"])
 
 
 @query(f"WITH {O.dense()} SELECT tid, label FROM long")
@@ -147,21 +150,25 @@ def truth_table(spark, sf_dir):
     return t.select((F.col("a1") * 4 + F.col("a2") * 2 + F.col("a3")).alias("code"), *t.columns)
 
 
-# Trees, over order status and class of all order lines.
+# Trees, over all items of all order lines.
 
-_SHOWN = ("os", "class")
-_TREE = f"""{O.dense()}, own AS (SELECT tid, label FROM long WHERE split_part(label, '=', 1) IN ('os', 'class')),
+_TREE = f"""{O.dense()},
     cap AS (SELECT CAST(pow(2, ceil(log2(greatest(count(*), 16)))) AS BIGINT) AS cap FROM t),
-    lv AS (SELECT CAST(i AS INTEGER) AS level, greatest(1, cap >> (2 * i)) AS size, cap FROM cap, range(40) r(i) WHERE i = 0 OR cap >> (2 * greatest(i, 1) - 2) > 1),
-    nodes AS (SELECT label, level, tid // size AS node_id, size, count(*) AS cnt FROM own, lv GROUP BY ALL),
-    pruned AS (SELECT c.* FROM nodes c LEFT JOIN nodes p ON p.label = c.label AND p.level = c.level - 1 AND p.node_id = c.node_id * c.size // p.size
+    lv AS (SELECT CAST(i AS INTEGER) AS level, greatest(1, cap >> (2 * i)) AS size, greatest(1, cap >> (2 * greatest(i - 1, 0))) AS above
+           FROM cap, range(40) r(i) WHERE i = 0 OR cap >> (2 * greatest(i, 1) - 2) > 1),
+    nodes AS (SELECT label, level, tid // size AS node_id, tid // above AS parent_id, size, count(*) AS cnt FROM long, lv GROUP BY ALL),
+    pruned AS (SELECT c.* FROM nodes c LEFT JOIN nodes p ON p.label = c.label AND p.level = c.level - 1 AND p.node_id = c.parent_id
                WHERE p.cnt IS NULL OR p.cnt < p.size)"""
 
 
-def _tree(spark, sf_dir, names=_SHOWN):
+def _tree(spark, sf_dir):
     df, dic, _ = _w1_dense(spark, sf_dir)
-    own = items.ItemDict(tuple(x for x in dic.items if x[0] in names))
-    return items.bitmap_long(df, own), own, ptree.TreeShape.for_tuples(df.count())
+    return items.bitmap_long(df, dic), dic, ptree.TreeShape.for_tuples(df.count())
+
+
+def _pruned(spark, sf_dir):
+    long, dic, shape = _tree(spark, sf_dir)
+    return ptree.build_count_tree(long, shape, pruned=True), dic, shape
 
 
 _NODE = ("label", "level", "node_id", "size", "cnt")
@@ -169,8 +176,11 @@ _NODE = ("label", "level", "node_id", "size", "cnt")
 
 @query(f"WITH {O.dense()} SELECT label, count(*) AS cnt FROM long GROUP BY ALL")
 def root_counts(spark, sf_dir):
-    df, dic, _ = _w1_dense(spark, sf_dir)
-    return _labelled(ptree.root_counts(ptree.build_words(items.bitmap_long(df, dic))), dic)
+    """From the headers of segments, which no order of tuples is needed for."""
+    info = W.w1(spark, sf_dir)
+    dic = items.build_items(info)
+    heads = anding.segment_items(segment_trees.build_segment_trees(info.df, dic))
+    return _labelled(heads.groupBy("item_id").agg(F.sum("root_cnt").alias("cnt")), dic)
 
 
 @query(f"WITH {_TREE} SELECT label, node_id AS quadrant, cnt FROM nodes WHERE level = 1")
@@ -187,54 +197,63 @@ def count_tree_levels(spark, sf_dir):
 
 @query(f"WITH {_TREE} SELECT label, level, node_id, size, cnt FROM pruned")
 def pure_pruned_tree(spark, sf_dir):
-    long, dic, shape = _tree(spark, sf_dir)
-    return _labelled(ptree.prune_pure(ptree.build_count_tree(long, shape), shape), dic).select(*_NODE)
+    nodes, dic, _ = _pruned(spark, sf_dir)
+    return _labelled(nodes, dic).select(*_NODE)
 
 
 def _full(spark, sf_dir):
     """The tree with its pure-0 nodes."""
-    long, dic, shape = _tree(spark, sf_dir, ("os",))
-    pruned = tables.written(ptree.prune_pure(ptree.build_count_tree(long, shape), shape), "tree")
-    return ptree.with_absent_children(pruned, shape), dic
+    nodes, dic, shape = _pruned(spark, sf_dir)
+    return ptree.with_absent_children(tables.written(nodes, "tree"), shape), dic
 
 
-_FULL = f"""{_TREE.replace("IN ('os', 'class')", "= 'os'")},
+_FULL = f"""{_TREE},
     kids AS (SELECT p.label, l.level, unnest(range(p.node_id * p.size // l.size, (p.node_id + 1) * p.size // l.size)) AS node_id, l.size
              FROM pruned p JOIN lv l ON l.level = p.level + 1 WHERE p.cnt < p.size),
     whole AS (SELECT label, level, node_id, size, cnt FROM pruned UNION ALL
               SELECT k.label, k.level, k.node_id, k.size, 0 FROM kids k LEFT JOIN nodes n USING (label, level, node_id) WHERE n.cnt IS NULL)"""
 
 
-@query(f"WITH {_FULL} SELECT label, level, node_id, size, CASE WHEN cnt = size THEN '1' WHEN cnt = 0 THEN '0' ELSE 'm' END AS mask FROM whole")
+def _digest(nodes: DataFrame, dic: items.ItemDict, value: str) -> DataFrame:
+    """Nodes by item, level and value: how many, and the sum of their ids and of their squares."""
+    x = F.col("node_id").cast("decimal(38,0)")
+    return _labelled(nodes, dic).groupBy("label", "level", value).agg(F.count("*").alias("nodes"), F.sum("node_id").alias("ids"), F.sum(x * x).cast("string").alias("squares"))
+
+
+def _digest_sql(value: str, name: str) -> str:
+    return f"WITH {_FULL} SELECT label, level, {value} AS {name}, count(*) AS nodes, CAST(sum(node_id) AS BIGINT) AS ids, CAST(sum(CAST(node_id AS HUGEINT) * node_id) AS VARCHAR) AS squares FROM whole GROUP BY ALL"
+
+
+@query(_digest_sql("CASE WHEN cnt = size THEN '1' WHEN cnt = 0 THEN '0' ELSE 'm' END", "mask"))
 def mask_tree(spark, sf_dir):
     nodes, dic = _full(spark, sf_dir)
-    return _labelled(ptree.to_mask_tree(nodes), dic)
+    return _digest(ptree.to_mask_tree(nodes), dic, "mask")
 
 
-@query(f"WITH {_FULL} SELECT label, level, node_id, size, cnt = size AS bit FROM whole")
+@query(_digest_sql("cnt = size", "bit"))
 def p1_tree(spark, sf_dir):
     nodes, dic = _full(spark, sf_dir)
-    return _labelled(ptree.to_p1(nodes), dic)
+    return _digest(ptree.to_p1(nodes), dic, "bit")
 
 
-@query(f"WITH {_FULL} SELECT label, level, node_id, size, cnt = 0 AS bit FROM whole")
+@query(_digest_sql("cnt = 0", "bit"))
 def p0_tree(spark, sf_dir):
     nodes, dic = _full(spark, sf_dir)
-    return _labelled(ptree.to_p0(nodes), dic)
+    return _digest(ptree.to_p0(nodes), dic, "bit")
 
 
-@query(f"WITH {O.dense()} SELECT tid, label FROM long WHERE split_part(label, '=', 1) IN ('os', 'class')")
+@query(f"WITH {O.dense()} SELECT tid, label FROM long")
 def tree_expand(spark, sf_dir):
-    long, dic, shape = _tree(spark, sf_dir)
-    path = f"{tables.shared_dir(spark)}/stored-{id(shape)}"
-    ptree.store_trees(ptree.prune_pure(ptree.build_count_tree(long, shape), shape), path, shape)
+    nodes, dic, shape = _pruned(spark, sf_dir)
+    path = f"{tables.shared_dir(spark)}/stored-{uuid.uuid4().hex}"
+    ptree.store_trees(nodes, path, shape)
     return _labelled(ptree.expand_tree(ptree.load_trees(spark, path)), dic).select("tid", "label")
 
 
-@query(f"WITH {O.dense()} SELECT label, count(*) AS cnt FROM long WHERE tid >= 1000 AND tid < 4321 AND split_part(label, '=', 1) IN ('os', 'class') GROUP BY ALL")
+@query(f"WITH {O.dense()} SELECT label, count(*) AS cnt FROM long WHERE tid >= 1000 AND tid < 4321 GROUP BY ALL")
 def range_count(spark, sf_dir):
-    long, dic, shape = _tree(spark, sf_dir)
-    return _labelled(ptree.range_count(ptree.prune_pure(ptree.build_count_tree(long, shape), shape), 1000, 4321), dic)
+    nodes, dic, _ = _pruned(spark, sf_dir)
+    return _labelled(ptree.range_count(nodes, 1000, 4321), dic)
 
 
 @query(f"WITH {O.dense()} SELECT label, tid // 64 AS word_id, count(*) AS ones FROM long GROUP BY ALL")
@@ -246,8 +265,8 @@ def word_popcounts(spark, sf_dir):
 
 @query(f"""WITH {_TREE} SELECT label, level, count(*) AS nodes, count(*) FILTER (WHERE cnt = size) AS pure1, CAST(sum(cnt) AS BIGINT) AS ones FROM pruned GROUP BY ALL""")
 def tree_stats(spark, sf_dir):
-    long, dic, shape = _tree(spark, sf_dir)
-    return _labelled(ptree.tree_stats(ptree.prune_pure(ptree.build_count_tree(long, shape), shape)), dic)
+    nodes, dic, _ = _pruned(spark, sf_dir)
+    return _labelled(ptree.tree_stats(nodes), dic)
 
 
 _Z = "((x & 1) + (y & 1) * 2 + (x & 2) * 2 + (y & 2) * 4 + (x & 4) * 4 + (y & 4) * 8)"
@@ -272,11 +291,15 @@ def raster_tree(spark, sf_dir):
 
 @query()
 def tree_stats_bytes(spark, sf_dir):
-    """Bytes of stored segments against raw bits: rows only, as sizes depend on the partitions."""
-    trees = Trees(W.w1(spark, sf_dir))
-    size = F.aggregate("bits", F.lit(0), lambda acc, b: acc + F.length(b))
-    total = trees.store.agg(F.sum(size).alias("stored"), F.sum("n").alias("n"), F.count("*").alias("segments"))
-    return total.select("segments", "n", "stored", measures.compression_ratio(F.col("stored"), F.col("n"), F.lit(len(trees.items.items))).alias("ratio"))
+    """Bytes of the miner's trees against raw bits, for tuples as they come and sorted by all attributes (what likeness of
+    neighbours is worth): no SQL, as sizes depend on the partitions."""
+    out = None
+    info = W.w1(spark, sf_dir)
+    for order, df in (("as they come", info.df), ("sorted", info.df.repartitionByRange(*info.attributes).sortWithinPartitions(*info.attributes))):
+        trees = Trees(W.InfoTable(df, info.conditions, info.decisions))
+        row = segment_trees.stored_bytes(trees.store).select(F.lit(order).alias("tuples"), "*", measures.compression_ratio(F.col("stored"), F.col("n"), F.lit(len(trees.items.items))).alias("ratio"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 # ANDing.
@@ -322,15 +345,13 @@ def bitmap_and_agg_counts(spark, sf_dir):
     return _and(spark, sf_dir, ("rf", "ls", "qty"), _THREE, lambda long, c: anding.and_bitmaps(ptree.build_bitmaps(long), c))
 
 
-@query(f"""WITH {O.dense()}, own AS (SELECT tid FROM t WHERE os = 'F' AND class = 'c1'),
-    cap AS (SELECT CAST(pow(2, ceil(log2(greatest(count(*), 16)))) AS BIGINT) AS cap FROM t),
-    lv AS (SELECT CAST(i AS INTEGER) AS level, greatest(1, cap >> (2 * i)) AS size FROM cap, range(40) r(i) WHERE i = 0 OR cap >> (2 * greatest(i, 1) - 2) > 1),
-    nodes AS (SELECT level, tid // size AS node_id, size, count(*) AS cnt FROM own, lv GROUP BY ALL)
-    SELECT c.* FROM nodes c LEFT JOIN nodes p ON p.level = c.level - 1 AND p.node_id = c.node_id * c.size // p.size WHERE p.cnt IS NULL OR p.cnt < p.size""")
+@query(f"""WITH {_TREE}, own AS (SELECT tid FROM t WHERE os = 'F' AND class = 'c1'),
+    met AS (SELECT level, tid // size AS node_id, tid // above AS parent_id, size, count(*) AS cnt FROM own, lv GROUP BY ALL)
+    SELECT c.level, c.node_id, c.size, c.cnt FROM met c LEFT JOIN met p ON p.level = c.level - 1 AND p.node_id = c.parent_id WHERE p.cnt IS NULL OR p.cnt < p.size""")
 def and_nodes_equals_words(spark, sf_dir):
     """The node-by-node AND of two trees."""
-    long, dic, shape = _tree(spark, sf_dir)
-    pruned = tables.written(ptree.prune_pure(ptree.build_count_tree(long, shape), shape), "tree")
+    nodes, dic, shape = _pruned(spark, sf_dir)
+    pruned = tables.written(nodes, "tree")
     one, two = (pruned.where(F.col("item_id") == dic.items.index(x)).drop("item_id") for x in (("os", "F"), ("class", "c1")))
     return anding.and_trees(one, two, shape)
 
@@ -355,14 +376,18 @@ def _mined(spark, sf_dir, w, **how):
     return mine_ptree(info, s, c, **how)
 
 
+def _rules(out) -> DataFrame:
+    return out.rules.select(*R.COLUMNS)
+
+
 def _sets(df: DataFrame) -> DataFrame:
     return df.select("k", "label", "cnt")
 
 
 for _w in ("w1", "w2", "w3"):
     query(O.itemsets(_w), f"itemsets_{_w}")(lambda spark, sf_dir, w=_w: _sets(_mined(spark, sf_dir, w).itemsets))
-    query(O.rules(_w), f"rules_free_{_w}")(lambda spark, sf_dir, w=_w: _mined(spark, sf_dir, w).rules)
-    query(O.rules(_w, f"decision = '{O.DECISION[_w]}'"), f"rules_fixed_{_w}")(lambda spark, sf_dir, w=_w: _mined(spark, sf_dir, w, decision=O.DECISION[w]).rules)
+    query(O.rules(_w), f"rules_free_{_w}")(lambda spark, sf_dir, w=_w: _rules(_mined(spark, sf_dir, w)))
+    query(O.rules(_w, f"decision = '{O.DECISION[_w]}'"), f"rules_fixed_{_w}")(lambda spark, sf_dir, w=_w: _rules(_mined(spark, sf_dir, w, decision=O.DECISION[w])))
 QUERIES["rules_single_w1"], ORACLE_SQL["rules_single_w1"] = QUERIES.pop("rules_free_w1"), ORACLE_SQL.pop("rules_free_w1")
 
 query(O.itemsets("w1", "k = 1"), "frequent_1")(lambda spark, sf_dir: _frequent_1(spark, sf_dir))
@@ -401,9 +426,13 @@ query(O.itemsets("w1", "k = 3"), "frequent_3")(lambda spark, sf_dir: _grown(spar
 query(O.itemsets("w1", strict=True), "itemsets_strict")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", strict=True).itemsets))
 query(O.itemsets("w1", "len(list_filter(parts, lambda x: starts_with(x, 'class='))) = 1"), "fixed_itemsets_w1")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", decision="class").itemsets))
 query(O.itemsets("w1"), "segmented_itemsets_w1")(lambda spark, sf_dir: _sets(mine_segmented(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"], segment=4**6).itemsets))
+query(O.itemsets("w1"), "itemsets_segments_w1")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", counting="segments").itemsets))
+query(O.itemsets("w1"), "itemsets_bounded_w1")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", bound=True).itemsets))
+query(O.rules("w1"), "strong_rules_by_level_w1")(lambda spark, sf_dir: _rules(_mined(spark, sf_dir, "w1", emit="strong")))
+query(O.rules("w2", f"decision = '{O.DECISION['w2']}'"), "strong_rules_by_level_fixed_w2")(lambda spark, sf_dir: _rules(_mined(spark, sf_dir, "w2", decision=O.DECISION["w2"], emit="strong")))
 query(O.itemsets("w1"), "itemsets_words_w1")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", counting="words").itemsets))
 query(O.itemsets("w1"), "itemsets_no_reuse_w1")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w1", reuse="none").itemsets))
-query(O.rules("w1", "decision IN ('class', 'os')"), "rules_several_decisions_w1")(lambda spark, sf_dir: _mined(spark, sf_dir, "w1", decision=["class", "os"]).rules)
+query(O.rules("w1", "decision IN ('class', 'os')"), "rules_several_decisions_w1")(lambda spark, sf_dir: _rules(_mined(spark, sf_dir, "w1", decision=["class", "os"])))
 
 
 @query(O.itemsets("w1"))
@@ -417,19 +446,19 @@ def itemsets_incremental_w1(spark, sf_dir):
 
 # Rules.
 
-query(O.rules_any("w1"), "rules_any_w1")(lambda spark, sf_dir: _mined(spark, sf_dir, "w1", consequent="any").rules.drop("decision"))
+query(O.rules_any("w1"), "rules_any_w1")(lambda spark, sf_dir: _mined(spark, sf_dir, "w1", consequent="any").rules.drop("decision", *R.SIDES))
 
 
 @query(
     O.rules("w2", "decision = 'has_digit' AND NOT EXISTS (FROM r q WHERE q.consequent = r.consequent AND q.k < r.k AND q.cnt_xy * r.cnt_x >= r.cnt_xy * q.cnt_x AND list_has_all(string_split(r.antecedent, '|'), string_split(q.antecedent, '|')))")
 )
 def rules_nonredundant(spark, sf_dir):
-    return _mined(spark, sf_dir, "w2", decision="has_digit", criterion="shorter_as_good").rules
+    return _rules(_mined(spark, sf_dir, "w2", decision="has_digit", criterion="shorter_as_good"))
 
 
 @query(O.rules("w2", "decision = 'has_digit' AND NOT EXISTS (FROM r q WHERE q.consequent = r.consequent AND q.k < r.k AND q.cnt_x = r.cnt_x AND list_has_all(string_split(r.antecedent, '|'), string_split(q.antecedent, '|')))"))
 def rules_own_cover(spark, sf_dir):
-    return _mined(spark, sf_dir, "w2", decision="has_digit", criterion="same_cover").rules
+    return _rules(_mined(spark, sf_dir, "w2", decision="has_digit", criterion="same_cover"))
 
 
 @query(O.rules("w2", select="k, decision, count(*) AS rules", where="true GROUP BY k, decision"))
@@ -448,9 +477,9 @@ def rule_lift(spark, sf_dir):
     return shown.select("antecedent", "consequent", "cnt_xy", *(F.round(c, 9).alias(c) for c in ("lift", "leverage", "conviction", "jaccard")))
 
 
-query(O.rules("w4"), "worked_example_rules")(lambda spark, sf_dir: _mined(spark, sf_dir, "w4").rules)
+query(O.rules("w4"), "worked_example_rules")(lambda spark, sf_dir: _rules(_mined(spark, sf_dir, "w4")))
 query(O.itemsets("w4"), "worked_example_itemsets")(lambda spark, sf_dir: _sets(_mined(spark, sf_dir, "w4").itemsets))
-query(O.rules("w4", "decision = 'F' AND NOT contains(antecedent, 'G=')"), "worked_example_decision_f")(lambda spark, sf_dir: _mined(spark, sf_dir, "w4", decision="F", conditions=list("ABCDE")).rules)
+query(O.rules("w4", "decision = 'F' AND NOT contains(antecedent, 'G=')"), "worked_example_decision_f")(lambda spark, sf_dir: _rules(_mined(spark, sf_dir, "w4", decision="F", conditions=list("ABCDE"))))
 
 
 @query(O.rules("w4", select="k, " + ", ".join(f"coalesce(array_to_string(list_sort(list(antecedent || ' -> ' || consequent) FILTER (WHERE decision = '{d}')), '; '), '') AS \"{d}\"" for d in "FG"), where="decision IN ('F', 'G') GROUP BY k"))
@@ -471,7 +500,7 @@ def rules_applied(spark, sf_dir):
     out = _mined(spark, sf_dir, "w1", decision="class")
     info = W.w1(spark, sf_dir)
     rows = items.compact(info.df, info.attributes)
-    got = R.apply_rules(rows, out.rules, F.array(*(F.concat(F.lit(f"{a}="), F.col(a)) for a in info.attributes)))
+    got = R.apply_rules(rows, out.rules, items.item_array(out.items))
     return got.groupBy("class", "conclusion").agg(F.sum("weight").alias("cnt"))
 
 
@@ -484,29 +513,72 @@ def topk_rules(spark, sf_dir):
 
 # Baselines.
 
-query(O.rules("w1"), "apriori_w1")(lambda spark, sf_dir: baselines.mine_apriori(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"]).rules)
-query(O.rules("w1", "decision = 'class'"), "hybrid_w1")(lambda spark, sf_dir: baselines.mine_hybrid(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"], decision="class").rules)
-query(O.rules("w1", "decision = 'class'"), "rough_set_w1")(lambda spark, sf_dir: baselines.mine_rough_set(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"], decision="class").rules)
-query(O.rules("w1"), "rough_set_free_w1")(lambda spark, sf_dir: baselines.mine_rough_set(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"]).rules)
-query(O.rules("w1"), "brute_force_w1")(lambda spark, sf_dir: baselines.mine_brute_force(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"]).rules)
+query(O.rules("w1"), "apriori_w1")(lambda spark, sf_dir: _rules(baselines.mine_apriori(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"])))
+query(O.rules("w1", "decision = 'class'"), "hybrid_w1")(lambda spark, sf_dir: _rules(baselines.mine_hybrid(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"], decision="class")))
+query(O.rules("w1", "decision = 'class'"), "rough_set_w1")(lambda spark, sf_dir: _rules(baselines.mine_rough_set(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"], decision="class")))
+query(O.rules("w1"), "rough_set_free_w1")(lambda spark, sf_dir: _rules(baselines.mine_rough_set(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"])))
+query(O.rules("w1"), "brute_force_w1")(lambda spark, sf_dir: _rules(baselines.mine_brute_force(W.w1(spark, sf_dir), *W.THRESHOLDS["w1"])))
 query(O.itemsets("w1"), "fpgrowth_w1")(lambda spark, sf_dir: baselines.mine_fpgrowth(W.w1(spark, sf_dir), "0.10"))
 
 
-@query("SELECT * FROM (VALUES ('fixed', 'hybrid', 0::BIGINT), ('fixed', 'rough_set', 0), ('free', 'apriori', 0), ('free', 'hybrid', 0), ('free', 'rough_set', 0)) t(mode, method, differing)")
-def rule_diff_methods(spark, sf_dir):
+def _no_difference(w: str) -> str:
+    return "SELECT * FROM (VALUES " + ", ".join(f"('{mode}', '{m}', 0::BIGINT)" for mode, m in (("fixed", "hybrid"), ("fixed", "rough_set"), ("free", "apriori"), ("free", "hybrid"), ("free", "rough_set"))) + ") t(mode, method, differing)"
+
+
+for _w, _name in (("w1", "rule_diff_methods"), ("w2", "rule_diff_methods_w2"), ("w3", "rule_diff_methods_w3")):
+    query(_no_difference(_w), _name)(lambda spark, sf_dir, w=_w: _differences(spark, sf_dir, w))
+
+
+def _differences(spark, sf_dir, w):
     """Rules that the tree miner and a baseline don't share, by mode: none."""
-    rows = [(mode, m, n) for mode in ("fixed", "free") for m, n in grid.differences(spark, sf_dir, "w1", mode).items()]
+    rows = [(mode, m, n) for mode in ("fixed", "free") for m, n in grid.differences(spark, sf_dir, w, mode).items()]
     return _frame(spark, rows, "mode string, method string, differing long")
 
 
 @query()
 def method_timings(spark, sf_dir):
-    """Minutes of every cell of the comparison on the first data set, and the factor over the tree miner."""
-    rows = [(d, mode, m, n, t.wall, t.cpu) for d, mode, m in grid.cells(("w1",)) for n, t in [grid.time_cell(spark, sf_dir, d, mode, m)]]
+    """Minutes (wall and CPU) of every cell of the comparison on the first data set, and the factor over the tree miner."""
+    info = grid.prepared(spark, sf_dir, "w1")
+    rows = [(d, mode, m, n, t.wall, t.cpu) for d, mode, m in grid.cells(("w1",)) for n, t in [grid.time_cell(info, d, mode, m)]]
     timed = _frame(spark, rows, "dataset string, mode string, method string, rules int, minutes double, cpu double")
     return timed.join(measures.speedup(timed).select("dataset", "mode", "method", "times"), ["dataset", "mode", "method"])
 
 
+_SUPPORTS = (5, 10, 15, 20, 25, 30, 35)
+
+
+@query(f"""WITH {O.counted("w1", percent=min(_SUPPORTS))}, p AS (SELECT unnest({list(_SUPPORTS)}) AS percent),
+    fp AS (SELECT percent, label, cnt, parts, k FROM f, n, p WHERE cnt * 100 >= percent * n),
+    s AS (SELECT percent, array_to_string(list_filter(parts, lambda x: x <> y), '|') AS antecedent, cnt FROM (SELECT percent, parts, cnt, unnest(parts) AS y FROM fp WHERE k > 1)),
+    r AS (SELECT s.percent, count(*) AS rules FROM s JOIN fp ON s.percent = fp.percent AND s.antecedent = fp.label WHERE s.cnt * 100 >= 75 * fp.cnt GROUP BY ALL)
+    SELECT percent, itemsets, coalesce(rules, 0) AS rules FROM (SELECT percent, count(*) AS itemsets FROM fp GROUP BY ALL) LEFT JOIN r USING (percent)""")
+def minsup_sweep_w1(spark, sf_dir):
+    """Itemsets and strong rules of the tree miner as the support goes from 5 to 35 %, on trees built once."""
+    found = grid.minsup_sweep(W.w1(spark, sf_dir), [f"{p / 100}" for p in _SUPPORTS], "0.75")
+    return _frame(spark, [(p, f[1], f[2]) for p, f in zip(_SUPPORTS, found, strict=True)], "percent int, itemsets long, rules long")
+
+
+@query(f"""WITH {O.counted("w1")}, u AS (SELECT DISTINCT list_sort(list_distinct(list_concat(a.parts, b.parts))) AS u, a.k + 1 AS k FROM f a JOIN f b ON a.k = b.k AND a.label < b.label),
+    made AS (SELECT u, k FROM u WHERE len(u) = k AND len(list_distinct(list_transform(u, lambda x: split_part(x, '=', 1)))) = k),
+    whole AS (SELECT made.u, made.k FROM made JOIN f s ON s.k = made.k - 1 AND list_has_all(made.u, s.parts) GROUP BY ALL HAVING count(*) = made.k)
+    SELECT CAST(k AS INTEGER) AS k, candidates, coalesce(frequent, 0) AS frequent FROM (
+        SELECT 1 AS k, CAST(sum(n) AS BIGINT) AS candidates FROM ({" UNION ALL ".join(f"SELECT count(DISTINCT {a}) AS n FROM c" for a in O.ATTRIBUTES["w1"])})
+        UNION ALL SELECT k, count(*) FROM whole GROUP BY k) LEFT JOIN (SELECT k, count(*) AS frequent FROM f GROUP BY k) USING (k)""")
+def level_counts_w1(spark, sf_dir):
+    """Candidates after the prune step and frequent sets of every level."""
+    return _mined(spark, sf_dir, "w1").stats.frame(spark).select("k", "candidates", "frequent")
+
+
+@query()
+def level_ands_w1(spark, sf_dir):
+    """What every level did: candidates, those pruned and bounded, blocks ANDed and spared by the trees, scans of the relation
+    (one for all levels). No SQL, as ANDs depend on the partitions."""
+    info = W.w1(spark, sf_dir)
+    sorted_ = W.InfoTable(info.df.repartitionByRange(*info.attributes).sortWithinPartitions(*info.attributes), info.conditions, info.decisions)
+    out = [mine_ptree(t, *W.THRESHOLDS["w1"], bound=b).stats.frame(spark).withColumn("tuples", F.lit(name)) for name, t, b in (("as they come", info, False), ("sorted", sorted_, True))]
+    return out[0].unionByName(out[1])
+
+
 # The relational surface.
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -85,28 +85,21 @@ def not_words(words: DataFrame, n: int) -> DataFrame:
 SEGMENT_ROWS = "segment_id long, n int, items array<int>, kinds array<string>, counts array<int>, bits array<binary>"
 
 
-def _packer(width: int, attributes: int, segment: int):
-    from pyspark import TaskContext
+#: Candidates of one broadcast; more go in several passes over the same segments.
+CHUNK = 100_000
 
-    def packed(codes: np.ndarray, number: int) -> pa.RecordBatch:
-        n = codes.shape[1]
-        items, kinds, counts, bits = [], [], [], []
-        for column in codes:
-            for item in np.unique(column[column >= 0]).tolist():
-                one = column == item
-                items.append(item)
-                counts.append(int(one.sum()))
-                kinds.append("1" if counts[-1] == n else "m")
-                bits.append(np.packbits(one, bitorder="little").tobytes() if counts[-1] < n else b"")
-        types = dict(segment_id=pa.int64(), n=pa.int32(), items=pa.list_(pa.int32()), kinds=pa.list_(pa.string()), counts=pa.list_(pa.int32()), bits=pa.list_(pa.binary()))
-        row = dict(segment_id=number, n=n, items=items, kinds=kinds, counts=counts, bits=bits)
-        return pa.RecordBatch.from_pydict({k: pa.array([v], types[k]) for k, v in row.items()})
+
+def _packed_by(df: DataFrame, items: ItemDict, segment: int, packed: Callable[[np.ndarray, int], pa.RecordBatch], schema: str) -> DataFrame:
+    """A narrow pass over df that calls packed(codes, number) for each segment: a row of item numbers (-1: none) per attribute."""
+    names = list(dict.fromkeys(items.attribute))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
         number = (TaskContext.get().partitionId() << 33) // segment
         kept, held = [], 0
         for batch in batches:
-            codes = np.stack([c.fill_null(-1).to_numpy() for c in batch.columns]) if batch.num_rows else np.zeros((attributes, 0), np.int32)
+            codes = np.stack([c.fill_null(-1).to_numpy() for c in batch.columns]) if batch.num_rows else np.zeros((len(names), 0), np.int32)
             kept.append(codes)
             held += codes.shape[1]
             while held >= segment:
@@ -116,7 +109,22 @@ def _packer(width: int, attributes: int, segment: int):
         if held:
             yield packed(np.concatenate(kept, 1), number)
 
-    return run
+    return df.select(*(items.code(a).alias(f"c{i}") for i, a in enumerate(names))).mapInArrow(run, schema)
+
+
+def _flat(codes: np.ndarray, number: int) -> pa.RecordBatch:
+    n = codes.shape[1]
+    items, kinds, counts, bits = [], [], [], []
+    for column in codes:
+        for item in np.unique(column[column >= 0]).tolist():
+            one = column == item
+            items.append(item)
+            counts.append(int(one.sum()))
+            kinds.append("1" if counts[-1] == n else "m")
+            bits.append(np.packbits(one, bitorder="little").tobytes() if counts[-1] < n else b"")
+    types = dict(segment_id=pa.int64(), n=pa.int32(), items=pa.list_(pa.int32()), kinds=pa.list_(pa.string()), counts=pa.list_(pa.int32()), bits=pa.list_(pa.binary()))
+    row = dict(segment_id=number, n=n, items=items, kinds=kinds, counts=counts, bits=bits)
+    return pa.RecordBatch.from_pydict({k: pa.array([v], types[k]) for k, v in row.items()})
 
 
 def build_segments(df: DataFrame, items: ItemDict, segment: int = SEGMENT) -> DataFrame:
@@ -124,15 +132,13 @@ def build_segments(df: DataFrame, items: ItemDict, segment: int = SEGMENT) -> Da
 
     A pure-1 vector is a kind without bits, a pure-0 one is absent. Segments of one input partition are full but for its last.
     """
-    names = list(dict.fromkeys(items.attribute))
-    coded = df.select(*(items.code(a).alias(f"c{i}") for i, a in enumerate(names)))
-    return coded.mapInArrow(_packer(len(items.items), len(names), segment), SEGMENT_ROWS)
+    return _packed_by(df, items, segment, _flat, SEGMENT_ROWS)
 
 
 def segment_items(segments: DataFrame) -> DataFrame:
-    """segment_id, item_id, kind, root_cnt: a row per segment and item."""
-    each = F.explode(F.arrays_zip("items", "kinds", "counts"))
-    return segments.select("segment_id", each.alias("x")).select("segment_id", F.col("x.items").alias("item_id"), F.col("x.kinds").alias("kind"), F.col("x.counts").alias("root_cnt"))
+    """segment_id, item_id, root_cnt: the headers of segments, flat ones or trees."""
+    each = F.explode(F.arrays_zip("items", "counts"))
+    return segments.select("segment_id", each.alias("x")).select("segment_id", F.col("x.items").alias("item_id"), F.col("x.counts").alias("root_cnt"))
 
 
 def _count_in_segment(row: dict, candidates: Sequence[Itemset], reuse: str) -> tuple[np.ndarray, int]:
@@ -165,30 +171,42 @@ def _count_in_segment(row: dict, candidates: Sequence[Itemset], reuse: str) -> t
     return out, ands
 
 
-def _counter(sent, reuse: str):
+def _counter(sent, kernel):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         candidates = sent.value
-        total, ands = np.zeros(len(candidates), np.int64), 0
+        total, ands, spared = np.zeros(len(candidates), np.int64), 0, 0
         for batch in batches:
-            for row in batch.to_pylist():
-                counts, done = _count_in_segment(row, candidates, reuse)
+            for i in range(batch.num_rows):  # a segment takes megabytes: one at a time
+                counts, done, left = kernel(batch.slice(i, 1).to_pylist()[0], candidates)
                 total += counts
-                ands += done
-        ids = np.append(np.flatnonzero(total), -1)
-        yield pa.record_batch([pa.array(ids), pa.array(np.append(total[ids[:-1]], ands))], ["cand_id", "cnt"])
+                ands, spared = ands + done, spared + left
+        ids = np.concatenate([np.flatnonzero(total), [-1, -2]])
+        yield pa.record_batch([pa.array(ids), pa.array(np.concatenate([total[ids[:-2]], [ands, spared]]))], ["cand_id", "cnt"])
 
     return run
 
 
-def count_in_segments(segments: DataFrame, candidates: Sequence[Itemset], reuse: str = "prefix") -> tuple[list[int], int]:
-    """The counts of sorted candidates over all segments, and the word-vector ANDs done. Tasks send one row per candidate
-    they saw; vectors never leave their executor."""
+def _counted_over(segments: DataFrame, candidates: Sequence[Itemset], kernel) -> tuple[list[int], int, int]:
+    """The sums over all segments of kernel(row, candidates): counts, ANDs done and spared. Candidates are broadcast in
+    lexicographic order, CHUNK at a time; tasks send a row per candidate they saw, and vectors never leave their executor."""
     order = sorted(range(len(candidates)), key=lambda i: candidates[i])
-    sent = segments.sparkSession.sparkContext.broadcast([candidates[i] for i in order])
-    rows = segments.mapInArrow(_counter(sent, reuse), "cand_id long, cnt long").groupBy("cand_id").agg(F.sum("cnt").alias("cnt")).collect()
-    got = {r.cand_id: r.cnt for r in rows}
-    out = [0] * len(candidates)
-    for at, i in enumerate(order):
-        out[i] = got.get(at, 0)
-    sent.unpersist()
-    return out, got.get(-1, 0)
+    out, ands, spared = [0] * len(candidates), 0, 0
+    for lo in range(0, len(order), CHUNK):
+        part = order[lo : lo + CHUNK]
+        sent = segments.sparkSession.sparkContext.broadcast([candidates[i] for i in part])
+        rows = segments.mapInArrow(_counter(sent, kernel), "cand_id long, cnt long").groupBy("cand_id").agg(F.sum("cnt").alias("cnt")).collect()
+        got = {r.cand_id: r.cnt for r in rows}
+        for at, i in enumerate(part):
+            out[i] = got.get(at, 0)
+        ands, spared = ands + got.get(-1, 0), spared + got.get(-2, 0)
+        sent.unpersist()
+    return out, ands, spared
+
+
+def count_in_segments(segments: DataFrame, candidates: Sequence[Itemset], reuse: str = "prefix") -> tuple[list[int], int]:
+    """The counts of sorted candidates over all flat segments, and the word-vector ANDs done."""
+
+    def kernel(row: dict, candidates: Sequence[Itemset]) -> tuple[np.ndarray, int, int]:
+        return *_count_in_segment(row, candidates, reuse), 0
+
+    return _counted_over(segments, candidates, kernel)[:2]

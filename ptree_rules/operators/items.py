@@ -8,6 +8,7 @@ from itertools import chain
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.tables import written
 from ..sources.workloads import InfoTable
 
 #: A dictionary is data about domains, not about tuples; one with more items than this is refused rather than collected.
@@ -22,7 +23,9 @@ class ItemDict:
     decisions: tuple[str, ...] = ()
 
     def label(self, item: int) -> str:
-        return "=".join(self.items[item])
+        """attribute=value; signs of the notation inside names and values get a backslash, so a text stands for one itemset."""
+        a, v = (x.replace("\\", "\\\\").replace("|", "\\|") for x in self.items[item])
+        return "=".join((a.replace("=", "\\="), v))
 
     def labels(self, items) -> str:
         return "|".join(sorted(map(self.label, items)))
@@ -56,9 +59,17 @@ def item_counts(info: InfoTable) -> DataFrame:
     return stacked(info).groupBy("attribute", "value").agg(F.count("*").alias("cnt"))
 
 
+def _checked(found: DataFrame) -> DataFrame:
+    few = written(found.limit(MOST_ITEMS + 1), "items")
+    if few.count() > MOST_ITEMS:
+        raise ValueError(f"more than {MOST_ITEMS} items; band or drop attributes of large domains first")
+    return few
+
+
 def item_frame(info: InfoTable) -> DataFrame:
-    """The dictionary as one plan: item_id, attribute, value, domain, is_decision. Numbering sorts the few distinct items."""
-    found = item_counts(info).select("attribute", "value")
+    """The dictionary as a table: item_id, attribute, value, domain, is_decision. Numbering sorts the items, whose number is
+    checked, in one task."""
+    found = _checked(item_counts(info).select("attribute", "value"))
     size = F.count("*").over(Window.partitionBy("attribute"))
     return found.select(
         (F.row_number().over(Window.orderBy("attribute", "value")) - 1).alias("item_id"),
@@ -68,9 +79,7 @@ def item_frame(info: InfoTable) -> DataFrame:
 
 
 def build_items(info: InfoTable) -> ItemDict:
-    found = item_counts(info).select("attribute", "value").limit(MOST_ITEMS + 1).collect()
-    if len(found) > MOST_ITEMS:
-        raise ValueError(f"more than {MOST_ITEMS} items; band or drop attributes of large domains first")
+    found = _checked(item_counts(info).select("attribute", "value")).collect()
     return ItemDict(tuple(sorted((r.attribute, r.value) for r in found)), info.decisions)
 
 

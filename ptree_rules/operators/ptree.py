@@ -5,10 +5,11 @@ from __future__ import annotations
 from dataclasses import dataclass
 from math import prod
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bits import padded_size
+from ..sources.tables import written
 
 
 @dataclass(frozen=True)
@@ -64,15 +65,56 @@ def quadrant_counts(long: DataFrame, shape: TreeShape) -> DataFrame:
     return long.groupBy("item_id", F.floor(F.col("tid") / shape.sizes[1]).alias("quadrant")).agg(F.count("*").alias("cnt"))
 
 
-def build_count_tree(long: DataFrame, shape: TreeShape) -> DataFrame:
-    """item_id, level, node_id, size and cnt of all nodes that hold a one, single bits included.
+def build_count_tree(long: DataFrame, shape: TreeShape, pruned: bool = False) -> DataFrame:
+    """item_id, level, node_id, size and cnt of all nodes that hold a one, single bits included; pruned: of the tree proper, in
+    which nodes below a pure-1 node are cut. Pure-0 nodes are absent.
 
-    One pass: each one goes to its node at every level, and map-side sums keep the shuffle to a row per node and task. Pure-0
-    nodes are absent.
+    Bottom-up from words of 64 tuples: a word gives the nodes inside it without a shuffle (and none below a pure one), and the
+    levels above are sums of its count, a row per word and no longer per bit. Shapes whose sizes aren't powers of two are
+    counted from single bits.
     """
-    levels = F.explode(F.array(*(F.struct(F.lit(i).alias("level"), F.lit(s).cast("long").alias("size")) for i, s in enumerate(shape.sizes))))
-    rows = long.select("item_id", "tid", levels.alias("x")).select("item_id", "x.*", F.floor(F.col("tid") / F.col("x.size")).alias("node_id"))
-    return rows.groupBy("item_id", "level", "node_id", "size").agg(F.count("*").alias("cnt"))
+    sizes = shape.sizes
+    if any(s & (s - 1) for s in sizes):
+        nodes = _summed(long.select("item_id", F.lit(1).alias("cnt"), F.col("tid").alias("node_id")), sizes, 1)
+        return prune_pure(nodes, shape) if pruned else nodes
+    word = min(64, shape.capacity)
+    top = max(i for i, s in enumerate(sizes) if s >= word)  # the lowest level whose nodes are words, or several
+    held = sizes[top] // word
+    words = written(build_words(long), "words").select("item_id", "word_id", "bits", F.bit_count("bits").cast("long").alias("cnt"))
+    block = F.floor(F.col("word_id") / held)
+    if held == 1:
+        blocks = words.select("item_id", "word_id", "bits", F.col("cnt").alias("of_block"))
+    else:
+        blocks = words.groupBy("item_id", block.alias("node_id")).agg(F.sum("cnt").alias("of_block"), F.collect_list(F.struct("word_id", "bits")).alias("w"))
+        blocks = blocks.select("item_id", "of_block", F.explode("w").alias("w")).select("item_id", "of_block", "w.*")
+    upper = _summed(words.select("item_id", "cnt", block.alias("node_id")), sizes[: top + 1], sizes[top])
+    if pruned:
+        upper, blocks = prune_pure(upper, shape), blocks.where(F.col("of_block") < sizes[top])
+
+    def part(first: Column, size: int) -> Column:
+        """Ones among so many bits of a word from a place on."""
+        return F.bit_count(F.call_function("shiftrightunsigned", F.col("bits"), first.cast("int")).bitwiseAND(F.lit((1 << size) - 1))).cast("long")
+
+    def inside(level: int) -> Column:
+        size, above = sizes[level], sizes[level - 1]
+
+        def node(k: Column) -> Column:
+            cut = (part(F.floor(k * size / above) * above, above) == above) if pruned and above < 64 and level - 1 > top else F.lit(False)
+            return F.struct(F.lit(level).alias("level"), (F.col("word_id") * (64 // size) + k).alias("node_id"), F.lit(size).cast("long").alias("size"), F.when(~cut, part(k * size, size)).otherwise(F.lit(0)).cast("long").alias("cnt"))
+
+        return F.filter(F.transform(F.sequence(F.lit(0), F.lit(word // size - 1)), node), lambda x: x["cnt"] > 0)
+
+    below = [inside(i) for i in range(top + 1, len(sizes))]
+    if not below:
+        return upper
+    return upper.unionByName(blocks.select("item_id", F.explode(F.flatten(F.array(*below))).alias("x")).select("item_id", "x.*"))
+
+
+def _summed(rows: DataFrame, sizes: list[int], of: int) -> DataFrame:
+    """Counts by level of rows(item_id, node_id, cnt) whose nodes have `of` slots; map-side sums go before the shuffle."""
+    levels = F.explode(F.array(*(F.struct(F.lit(i).alias("level"), F.lit(s).cast("long").alias("size")) for i, s in enumerate(sizes))))
+    each = rows.select("item_id", "cnt", F.col("node_id").alias("own"), levels.alias("x"))
+    return each.select("item_id", "x.*", F.floor(F.col("own") / (F.col("x.size") / of)).alias("node_id"), "cnt").groupBy("item_id", "level", "node_id", "size").agg(F.sum("cnt").alias("cnt"))
 
 
 def prune_pure(nodes: DataFrame, shape: TreeShape) -> DataFrame:

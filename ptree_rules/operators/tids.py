@@ -1,4 +1,4 @@
-"""Tuple numbers: dense over the relation, or dense within segments."""
+"""Tuple numbers: dense over the relation, or dense within segments. Root counts and mining need no order and use segments."""
 
 from __future__ import annotations
 
@@ -14,7 +14,8 @@ SEGMENT = 4**9
 def dense_tids(df: DataFrame, keys: list[str]) -> DataFrame:
     """tid from 0 without gaps, in the order of the keys (ties in any order).
 
-    A range shuffle sorts; the sorted table is written once with each row's place in its partition, so a retry can't number
+    The keys should tell rows apart, such as the relation's own key with all attributes after it: rows that agree in all keys
+    can't be split, and few different keys make few partitions. A range shuffle sorts; the sorted table is written once with each row's place in its partition, so a retry can't number
     anew; the partitions' sizes (a row each) give the offsets. No window spans the whole relation.
     """
     place = F.monotonically_increasing_id()

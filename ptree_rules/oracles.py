@@ -7,7 +7,7 @@ from itertools import combinations
 #: The workloads' relations, as SQL over the given tables; all attributes are text.
 RELATIONS = {
     "w1": """SELECT *, CASE WHEN rf = 'R' OR os = 'P' THEN 'c1' WHEN qty = 'hi' AND ls = 'O' THEN 'c4' WHEN qty = 'mid' THEN 'c3' ELSE 'c2' END AS class FROM (
-        SELECT l_returnflag AS rf, l_linestatus AS ls, o_orderstatus AS os, CAST(year(o_orderdate) AS VARCHAR) AS oy,
+        SELECT l_orderkey, l_linenumber, l_returnflag AS rf, l_linestatus AS ls, o_orderstatus AS os, CAST(year(o_orderdate) AS VARCHAR) AS oy,
                CASE WHEN l_quantity <= 16 THEN 'lo' WHEN l_quantity <= 33 THEN 'mid' ELSE 'hi' END AS qty,
                CASE WHEN l_discount < 0.035::DOUBLE THEN 'lo' WHEN l_discount < 0.065::DOUBLE THEN 'mid' ELSE 'hi' END AS disc
         FROM lineitem JOIN orders ON l_orderkey = o_orderkey)""",
@@ -67,9 +67,9 @@ def itemsets(w: str, where: str = "true", **how) -> str:
 _RULE = "antecedent, consequent, k, cnt_xy, cnt_x, n, CAST(cnt_xy AS DOUBLE) / n AS support, CAST(cnt_xy AS DOUBLE) / cnt_x AS confidence, decision"
 
 
-def rules(w: str, where: str = "true", confidence: int | None = None, select: str = _RULE, more: str = "") -> str:
+def rules(w: str, where: str = "true", confidence: int | None = None, select: str = _RULE, more: str = "", percent: int | None = None) -> str:
     """Strong rules with one item as consequent."""
-    return f"""WITH {counted(w)},
+    return f"""WITH {counted(w, percent=percent)},
         s AS (SELECT array_to_string(list_filter(parts, lambda x: x <> y), '|') AS antecedent, y AS consequent, CAST(k - 1 AS INTEGER) AS k, cnt AS cnt_xy
               FROM (SELECT parts, k, cnt, unnest(parts) AS y FROM f WHERE k > 1)),
         r AS (SELECT antecedent, consequent, s.k, cnt_xy, f.cnt AS cnt_x, n, split_part(consequent, '=', 1) AS decision
@@ -86,9 +86,9 @@ def rules_any(w: str) -> str:
         FROM s JOIN f ON array_to_string(x, '|') = label, n WHERE s.cnt * 100 >= {PERCENT[w][1]} * f.cnt"""
 
 
-def dense(w: str = "w1") -> str:
-    """CTE long(tid, label): order lines of W1 numbered by all attributes, and their items."""
-    names = ATTRIBUTES[w]
+def dense() -> str:
+    """CTE long(tid, label): order lines of W1 numbered by key and attributes, and their items."""
+    names = ATTRIBUTES["w1"]
     cells = ", ".join(f"'{a}=' || {a}" for a in names)
-    return f"""t AS (SELECT row_number() OVER (ORDER BY {", ".join(names)}) - 1 AS tid, * FROM ({RELATIONS[w]})),
+    return f"""t AS (SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, {", ".join(names)}) - 1 AS tid, * FROM ({RELATIONS["w1"]})),
         long AS (SELECT tid, unnest(list_filter([{cells}], lambda x: x IS NOT NULL)) AS label FROM t)"""

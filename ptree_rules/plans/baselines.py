@@ -13,12 +13,15 @@ from ..functions.measures import Level, MiningStats
 from ..functions.thresholds import Number, min_count
 from ..operators.candidates import closed, joined
 from ..operators.items import ItemDict, build_items, compact, item_array
+from ..sources.tables import written
 from ..sources.workloads import InfoTable
 from .miner import MOST_CANDIDATES, _checked
 from .results import Itemset, MiningResult, derive
 
 #: Candidates of one broadcast; more go in several passes over the same transactions.
 CHUNK = 50_000
+#: Combinations of attributes that an enumerating method may make of a row.
+MOST_SUBSETS = 100_000
 
 
 def _mask(items: Column, words: int) -> list[Column]:
@@ -117,41 +120,61 @@ def _within(out: MiningResult, conditions: Sequence[str] | None, criterion: str)
 
     rules = out.rules
     if conditions is not None:
-        rules = rules.where(F.forall(F.split("antecedent", r"\|"), lambda x: F.substring_index(x, "=", 1).isin(list(conditions))))
+        usable = [i for i, a in enumerate(out.items.attribute) if a in conditions]
+        rules = rules.where(F.forall("x", lambda x: x.isin(usable)))
     return MiningResult(out.itemsets, reduce_rules(rules, criterion), out.stats, out.items)
 
 
 def combination_counts(rows: DataFrame, items: ItemDict, sizes: Iterable[int], attributes: Sequence[str]) -> DataFrame:
-    """items and cnt of every combination of a row's items of the given attributes, weights added up: each compacted row gives
-    one row per subset of its attributes, and map-side sums go before the shuffle."""
-    each = F.array(*(items.code(a) for a in attributes))
+    """items and cnt of every combination of a row's items of the given attributes, weights added up: each row gives one row
+    per subset of its attributes, and map-side sums go before the shuffle. More than MOST_SUBSETS subsets a row are an error."""
     subsets = [list(s) for k in sizes for s in combinations(range(len(attributes)), k)]
     if not subsets:
         return rows.sparkSession.createDataFrame([], "items array<int>, cnt long")
+    if len(subsets) > MOST_SUBSETS:
+        raise ValueError(f"{len(subsets)} combinations of attributes a row; set max_len, or use a method that doesn't enumerate")
+    each = F.array(*(items.code(a) for a in attributes))
     # A list of positions for each subset, spread over rows by an explode of a literal.
     chosen = F.explode(F.array(*(F.array(*map(F.lit, s)) for s in subsets)))
     made = rows.select(each.alias("c"), "weight", chosen.alias("s")).select("weight", F.array_sort(F.transform("s", lambda i: F.get("c", i))).alias("items"))
     return made.where(~F.exists("items", lambda x: x.isNull())).groupBy("items").agg(F.sum("weight").alias("cnt"))
 
 
+def _weighted(info: InfoTable, compacted: bool) -> DataFrame:
+    return compact(info.df, info.attributes) if compacted else info.df.withColumn("weight", F.lit(1).cast("long"))
+
+
+def _enumerated(rows: DataFrame, items: ItemDict, attributes: Sequence[str], top: int, least: int) -> dict[Itemset, int]:
+    """Counts of all frequent combinations of items. Sizes are enumerated one after the other; after one without a frequent
+    combination no larger size has any, so it ends there."""
+    out: dict[Itemset, int] = {}
+    for k in range(1, top + 1):
+        counted = combination_counts(rows, items, [k], attributes).where(F.col("cnt") >= least)
+        got = {tuple(r["items"]): r.cnt for r in counted.collect()}
+        if not got:
+            break
+        out |= got
+    return out
+
+
 def mine_brute_force(info: InfoTable, minsup: Number, minconf: Number, consequent: str = "single", strict: bool = False, max_len: int | None = None) -> MiningResult:
     """All combinations counted, then both thresholds: the measure for the others on few attributes."""
     items = build_items(info)
-    rows = compact(info.df, info.attributes)
     n = info.df.count()
     stats = MiningStats("brute force", n, len(items.items), 3)
     top = min(len(info.attributes), max_len or len(info.attributes))
-    counted = combination_counts(rows, items, range(1, top + 1), info.attributes)
+    counted = combination_counts(_weighted(info, True), items, range(1, top + 1), info.attributes)
     least = max(1, min_count(minsup, n, strict))
     counts = {tuple(r["items"]): r.cnt for r in counted.where(F.col("cnt") >= least).collect()}
     return derive(info.df.sparkSession, counts, items, n, minconf, consequent, None, strict, "none", stats)
 
 
-def mine_rough_set(info: InfoTable, minsup: Number, minconf: Number, decision: str | Iterable[str] | None = None, conditions: Sequence[str] | None = None, strict: bool = False, criterion: str = "none", max_len: int | None = None) -> MiningResult:
+def mine_rough_set(info: InfoTable, minsup: Number, minconf: Number, decision: str | Iterable[str] | None = None, conditions: Sequence[str] | None = None, strict: bool = False, criterion: str = "none", max_len: int | None = None, compacted: bool = True) -> MiningResult:
     """The rough-set generator: all rules of the information table, one decision attribute after the other, then both
-    thresholds. Free: every attribute is the decision once, which is why this is the slowest. max_len bounds itemsets."""
+    thresholds. Free: every attribute is the decision once, which is why this is the slowest. max_len bounds itemsets;
+    compacted counts rows that agree in all attributes once, with a weight, which no other method is given."""
     items = build_items(info)
-    rows = compact(info.df, info.attributes).persist()
+    rows = written(_weighted(info, compacted), "rough-set")
     n = rows.agg(F.sum("weight")).first()[0] or 0
     stats = MiningStats("rough set", n, len(items.items), 2)
     goals = list(info.attributes) if decision is None else [decision] if isinstance(decision, str) else list(decision)
@@ -164,13 +187,11 @@ def mine_rough_set(info: InfoTable, minsup: Number, minconf: Number, decision: s
         top = min(len(others) + 1, max_len or len(others) + 1)
         # X alone, and X with the decision: the count of a rule needs both.
         code = set(i for i, a in enumerate(items.attribute) if a == goal)
-        counted = combination_counts(rows, items, range(1, top + 1), [*others, goal])
-        got = {tuple(r["items"]): r.cnt for r in counted.where(F.col("cnt") >= least).collect()}
+        got = _enumerated(rows, items, [*others, goal], top, least)
         with_goal = {c: m for c, m in got.items() if code & set(c)}
         xys |= with_goal
         xs |= {c: m for c, m in got.items() if not code & set(c)}
         stats.levels.append(Level(0, len(got), 0, len(with_goal), time.perf_counter() - start))
-    rows.unpersist()
     out = derive(info.df.sparkSession, xs | xys, items, n, minconf, "single", goals, strict, "none", stats, shown=xs | xys if decision is None else xys)
     return _within(out, conditions, criterion)
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -26,7 +27,7 @@ def register_views(spark: SparkSession, sf_dir: str) -> None:
 
 
 def read_text_format(spark: SparkSession, path: str, fmt: str, schema: StructType) -> DataFrame:
-    """CSV (with header), JSON, ORC or Parquet with an explicit schema."""
+    """CSV (with header), JSON, ORC, Parquet or lines of text with an explicit schema."""
     reader = spark.read.schema(schema)
     return reader.option("header", True).csv(path) if fmt == "csv" else getattr(reader, fmt)(path)
 
@@ -36,11 +37,13 @@ def write_text_format(df: DataFrame, path: str, fmt: str) -> None:
     writer.option("header", True).csv(path) if fmt == "csv" else getattr(writer, fmt)(path)
 
 
-def stream_parquet(spark: SparkSession, path: str, schema: StructType, files_per_batch: int = 1) -> DataFrame:
+def stream_parquet(spark: SparkSession, path: str, schema: StructType, files_per_batch: int | None = None) -> DataFrame:
     """A table's files as a stream, be the table a folder or a single file (streams read folders only)."""
     where = spark._jvm.org.apache.hadoop.fs.Path(path)
     folder = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(where).isDirectory()
-    reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch)
+    reader = spark.readStream.schema(schema)
+    if files_per_batch:
+        reader = reader.option("maxFilesPerTrigger", files_per_batch)
     if folder:
         return reader.parquet(path)
     return reader.option("pathGlobFilter", where.getName()).parquet(where.getParent().toString())
@@ -52,9 +55,12 @@ def read_jdbc(spark: SparkSession, url: str, query: str, **options: str) -> Data
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of our own where that is unset (local runs)."""
-    if found := spark.conf.get("spark.checkpoint.dir", None):
+    """The folder all executors share: spark.checkpoint.dir, or the one given to setCheckpointDir. Where neither is set, a local
+    master gets a folder of its own; on a cluster that would be a disk no one else sees, so there it is an error."""
+    if found := spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir():
         return found
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     app = spark.sparkContext.applicationId
     if app not in _own:
         _own[app] = tempfile.mkdtemp(prefix="trees-")
@@ -69,6 +75,17 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def append_partitioned(df: DataFrame, path: str, by: list[str], sort: list[str] | None = None) -> None:
+    """Adds df to a Parquet table in folders by some columns; rows of a folder are written by few tasks, sorted within them."""
+    rows = df.repartition(*by)
+    (rows.sortWithinPartitions(*by, *sort) if sort else rows).write.mode("append").partitionBy(*by).parquet(path)
+
+
+def write_bucketed(df: DataFrame, name: str, buckets: int, by: list[str]) -> None:
+    """df as a table of the warehouse in buckets by some columns, sorted by them: joins of tables bucketed alike need no shuffle."""
+    df.write.mode("overwrite").bucketBy(buckets, *by).sortBy(*by).format("parquet").saveAsTable(name)
+
+
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:
     """df through files of a format and back."""
     path = f"{shared_dir(df.sparkSession)}/{fmt}-{uuid.uuid4().hex}"

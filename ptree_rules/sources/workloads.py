@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 from ..functions.discretize import band
 from .tables import load, worked_example
 
+#: More different labels than this are no table of columns.
+MOST_LABELS = 2_000
 QUANTITY = ((16, 33), ("lo", "mid", "hi"))
 
 
@@ -39,11 +41,16 @@ def _yes_no(c: Column) -> Column:
     return F.when(c, "yes").when(~c, "no")
 
 
-def w1(spark: SparkSession, sf_dir: str) -> InfoTable:
-    """Seven nominal attributes of order lines, 25 items; the decision is a four-valued class."""
-    lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_returnflag", "l_linestatus", "l_quantity", "l_discount")
+#: W1's key. It names a line but for repeats in the given tables, so orders by it go on with the attributes.
+W1_KEY = ("l_orderkey", "l_linenumber")
+
+
+def w1_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W1's attributes with its key before them."""
+    lines = load(spark, sf_dir, "lineitem").select(*W1_KEY, "l_returnflag", "l_linestatus", "l_quantity", "l_discount")
     orders = load(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus", "o_orderdate")
     df = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).select(
+        *W1_KEY,
         F.col("l_returnflag").alias("rf"),
         F.col("l_linestatus").alias("ls"),
         F.col("o_orderstatus").alias("os"),
@@ -52,7 +59,12 @@ def w1(spark: SparkSession, sf_dir: str) -> InfoTable:
         band("l_discount", (0.035, 0.065), ("lo", "mid", "hi")).alias("disc"),
     )
     kind = F.when((F.col("rf") == "R") | (F.col("os") == "P"), "c1").when((F.col("qty") == "hi") & (F.col("ls") == "O"), "c4").when(F.col("qty") == "mid", "c3").otherwise("c2")
-    return info_table(df.withColumn("class", kind), ["rf", "ls", "os", "oy", "qty", "disc"], ["class"])
+    return df.withColumn("class", kind)
+
+
+def w1(spark: SparkSession, sf_dir: str) -> InfoTable:
+    """Seven nominal attributes of order lines, 25 items; the decision is a four-valued class."""
+    return info_table(w1_keyed(spark, sf_dir), ["rf", "ls", "os", "oy", "qty", "disc"], ["class"])
 
 
 def w2(spark: SparkSession, sf_dir: str) -> InfoTable:
@@ -102,6 +114,16 @@ def w4(spark: SparkSession) -> InfoTable:
     return info_table(worked_example(spark), list("ABCDEF"), ["G"])
 
 
+def basket_table(baskets: DataFrame, labels: str = "labels") -> InfoTable:
+    """Sets of labels as a relation of binary attributes, a column per label that holds 'yes' or null; the labels' number is
+    checked, and only they come to the driver."""
+    found = [r[0] for r in baskets.select(F.explode(labels).alias("x")).distinct().orderBy("x").limit(MOST_LABELS + 1).collect()]
+    if len(found) > MOST_LABELS:
+        raise ValueError(f"more than {MOST_LABELS} labels; drop rare ones first")
+    df = baskets.select(*(F.when(F.array_contains(labels, x), "yes").alias(x) for x in found))
+    return InfoTable(df, tuple(found), ())
+
+
 def baskets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Orders as sets of part types and brands: order key and the sorted distinct labels."""
     part = load(spark, sf_dir, "part").select("p_partkey", "p_type", "p_brand")

@@ -28,15 +28,29 @@ def with_items(df: DataFrame) -> DataFrame:
     return df.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", band.alias("band"))
 
 
-def event_stream(spark: SparkSession, sf_dir: str, late: str = "1 hour", files_per_batch: int = 1) -> DataFrame:
-    """The events as a file stream with a watermark; repeated ids within it are dropped."""
-    schema = load(spark, sf_dir, "events").schema
-    raw = tables.stream_parquet(spark, f"{sf_dir}/events.parquet", schema, files_per_batch)
+def event_stream(spark: SparkSession, sf_dir: str, late: str | None = None, files_per_batch: int | None = None) -> DataFrame:
+    """The events as a file stream with a watermark; repeated ids within it are dropped.
+
+    late: how far behind the latest time an event may come. A table that is there as a whole may have its files in any order,
+    so without a given lateness it is the table's own span of time, which drops nothing.
+    """
+    table = load(spark, sf_dir, "events")
+    if late is None:
+        first, last = table.agg(F.min("ts"), F.max("ts")).first()
+        late = f"{int((last - first).total_seconds()) + 1 if first else 0} seconds"
+    raw = tables.stream_parquet(spark, f"{sf_dir}/events.parquet", table.schema, files_per_batch)
     return with_items(raw).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def rate_stream(spark: SparkSession, rows_per_second: int) -> DataFrame:
+    """A stream of made events of even rate, with the columns of events."""
+    raw = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    made = raw.select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), (F.col("value") % 97).alias("user_id"), F.concat(F.lit("t"), F.col("value") % 5).alias("event_type"), (F.col("value") % 100).cast("double").alias("value"))
+    return with_items(made)
+
+
 def window_counts(df: DataFrame, width: str, slide: str | None = None) -> DataFrame:
-    """Events and distinct users by window and type; a user is counted once by a set of partial aggregates."""
+    """Events by window and type."""
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
     return df.groupBy(w.alias("w"), "event_type").agg(F.count("*").alias("cnt")).select(F.col("w.start").alias("start"), "event_type", "cnt")
 
@@ -78,18 +92,36 @@ def sequence_pairs(df: DataFrame, gap_seconds: int) -> DataFrame:
     return near.groupBy(F.col("event_type").alias("first"), "second").agg(F.count("*").alias("cnt"))
 
 
-def run_to_memory(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over all files that are there and returns its result table."""
-    name = f"stream_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(stream.sparkSession)}/{name}").trigger(availableNow=True).start()
+def dropped_rows(query) -> int:
+    """Rows that a finished query left out as later than its watermark, over the progress reports the session keeps."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
+def run_to_table(stream: DataFrame, most_late: int = 0) -> DataFrame:
+    """Runs an aggregating stream over all files that are there and returns its result, as the last batch wrote it.
+
+    Each batch writes the whole result into a folder of its own, which a retry overwrites. More than most_late rows left out by
+    the watermark are an error: counts would be short of them without a word.
+    """
+    spark = stream.sparkSession
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    done: list[int] = []
+
+    def put(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        done.append(batch_id)
+
+    query = stream.writeStream.foreachBatch(put).outputMode("complete").option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    if (late := dropped_rows(query)) > most_late:
+        raise ValueError(f"{late} rows came later than the watermark allows; give a larger lateness, or allow so many to be left out")
+    return spark.read.schema(stream.schema).parquet(f"{path}/batch={done[-1]}") if done else spark.createDataFrame([], stream.schema)
 
 
-def streamed_root_counts(stream: DataFrame) -> DataFrame:
+def streamed_root_counts(stream: DataFrame, most_late: int = 0) -> DataFrame:
     """Root counts of event items, kept up to date by the stream."""
     items = F.explode(F.array(F.concat(F.lit("type="), "event_type"), F.concat(F.lit("band="), "band")))
-    return run_to_memory(stream.select(items.alias("item")).groupBy("item").agg(F.count("*").alias("cnt")))
+    return run_to_table(stream.select(items.alias("item")).groupBy("item").agg(F.count("*").alias("cnt")), most_late)
 
 
 def stream_segments(stream: DataFrame, items: ItemDict, path: str) -> DataFrame:

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ptree_rules.functions.bits import and_mask, morton, padded_size
 from ptree_rules.functions.discretize import band, band_freq, band_width
 from ptree_rules.functions.thresholds import is_confident, min_count
-from ptree_rules.operators import anding, items, ptree, tids
+from ptree_rules.operators import anding, items, ptree, segment_trees, tids
 from ptree_rules.operators.anding import _count_in_segment
 from ptree_rules.sources import tables
 from ptree_rules.sources import workloads as W
@@ -160,3 +160,56 @@ def test_bands(spark):
     assert [r[0] for r in df.select(band("v", (1, 3), ("a", "b", "c"), closed="right")).collect()] == ["a", "a", "b", "b", "c", None]
     assert [r[0] for r in df.select(band_width(df, "v", 2)).collect()] == ["b0"] * 4 + ["b1", None]
     assert {r[0] for r in df.select(band_freq(df, "v", 2, exact=True)).collect()} == {"b0", "b1", None}
+
+
+@pytest.mark.parametrize("fanouts", [(4, 4, 4, 4, 2), (4, 4, 4, 4), (4, 4), (2, 4, 8, 16), (3, 5, 7), (16, 4, 4, 8), (4, 4, 4, 4, 4, 4)])
+def test_pruned_trees_are_built_bottom_up(spark, fanouts):
+    shape = ptree.TreeShape(fanouts)
+    rng = np.random.default_rng(len(fanouts))
+    tids = {0: rng.random(shape.capacity) < 0.5, 1: np.arange(shape.capacity) < shape.capacity * 0.7, 2: np.ones(shape.capacity, bool), 3: rng.random(shape.capacity) < 0.98}
+    rows = [(i, int(t)) for i, bits in tids.items() for t in np.flatnonzero(bits)]
+    long = spark.createDataFrame(rows, "item_id int, tid long")
+    want, cut = set(), set()
+    for i, bits in tids.items():
+        for level, size in enumerate(shape.sizes):
+            counts = bits.reshape(-1, size).sum(1)
+            above = bits.reshape(-1, shape.sizes[level - 1]).sum(1) == shape.sizes[level - 1] if level else np.zeros(1, bool)
+            for node in np.flatnonzero(counts):
+                want.add((i, level, int(node), size, int(counts[node])))
+                if not level or not above[node * size // shape.sizes[level - 1]]:
+                    cut.add((i, level, int(node), size, int(counts[node])))
+    assert {tuple(r) for r in ptree.build_count_tree(long, shape).collect()} == want
+    got = [tuple(r) for r in ptree.build_count_tree(long, shape, pruned=True).select("item_id", "level", "node_id", "size", "cnt").collect()]
+    assert set(got) == cut and len(got) == len(cut)
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.integers(1, 4096), st.integers(0, 2**32 - 1), st.sampled_from([64, 256, 1024, 4096]))
+def test_segment_trees_and_their_and(n, seed, segment):
+    n, rng = min(n, segment), np.random.default_rng(seed)
+    a, b = (np.repeat(rng.random(-(-n // run)) < p, run)[:n] for run, p in zip(rng.choice([1, 16, 64, 300], 2), rng.choice([0.0, 0.3, 0.9, 1.0], 2), strict=True))
+    x, y = segment_trees.tree_of(a, segment), segment_trees.tree_of(b, segment)
+    both, ands = segment_trees.and_trees(x, y, segment_trees.block_bits(segment))
+    want = segment_trees.tree_of(a & b, segment)
+    assert (both.pure, both.mixed, both.count) == (want.pure, want.mixed, want.count) == (both.pure, both.mixed, int((a & b).sum()))
+    assert (both.words == want.words).all() and ands == (x.mixed & y.mixed).bit_count()
+    assert sum(segment_trees.quadrant_counts(x, segment)) == int(a.sum())
+
+
+def test_tree_segments_count_as_flat_ones(spark):
+    info = W.w4(spark)
+    dic = items.build_items(info)
+    for parts, size in ((1, 64), (3, 256)):
+        seg = segment_trees.build_segment_trees(info.df.repartition(parts), dic, size)
+        counts, _, _ = segment_trees.count_in_trees(seg, [(1, 3), (0,), (1, 3, 4), (0, 6)], size)
+        assert counts == [3, 2, 2, 0]
+        assert all(b >= c for b, c in zip(segment_trees.bound_counts(seg, [(1, 3), (0,), (1, 3, 4), (0, 6)]), counts, strict=True))
+
+
+def test_stored_trees_take_less_where_neighbours_are_alike(spark):
+    df = spark.range(40_000).select((F.col("id") % 4).cast("string").alias("a"), F.lit("x").alias("b")).repartition(1)
+    sizes = []
+    for rows in (df, df.sortWithinPartitions("a")):
+        info = W.info_table(rows, ["a"], ["b"])
+        sizes.append(segment_trees.stored_bytes(segment_trees.build_segment_trees(info.df, items.build_items(info))).first().stored)
+    assert sizes[1] * 2 < sizes[0] < 40_000 * 5 / 8 * 1.4

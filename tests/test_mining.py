@@ -6,6 +6,7 @@ import pytest
 
 from ptree_rules.functions.measures import rule_diff, rule_profile, speedup
 from ptree_rules.operators import candidates
+from ptree_rules.operators.items import item_array
 from ptree_rules.operators.rules import apply_rules, reduce_rules, rules_table
 from ptree_rules.plans import baselines as B
 from ptree_rules.plans.miner import Trees, append_segments, mine_ptree, mine_segmented
@@ -126,7 +127,8 @@ def test_candidates_as_frames(spark):
 
 
 def test_redundancy_layout_and_use_of_rules(spark, small):
-    rules = mine_ptree(small, "0.05", "0.4", decision="e").rules.cache()
+    out = mine_ptree(small, "0.05", "0.4", decision="e")
+    rules = out.rules.cache()
     kept = {(r.antecedent, r.consequent) for r in reduce_rules(rules, "shorter_as_good").collect()}
     all_ = rules.collect()
     for r in all_:
@@ -135,7 +137,8 @@ def test_redundancy_layout_and_use_of_rules(spark, small):
     assert rules_table(rules).columns == ["k", "e"]
     assert rule_profile(rules).agg(F.sum("rules")).first()[0] == len(all_)
     df = small.df.limit(50)
-    got = apply_rules(df, rules, F.array_compact(F.array(*(F.concat(F.lit(f"{a}="), F.col(a)) for a in "abcd"))))
+    got = apply_rules(df, spark.createDataFrame(all_, rules.schema), item_array(out.items))
+    assert "hashpartitioning" not in got._jdf.queryExecution().executedPlan().toString()
     assert got.count() == 50 and got.where("conclusion is not null").count() > 0
 
 
@@ -143,3 +146,52 @@ def test_speedup(spark):
     rows = [("x", "free", "ptree", 2.0), ("x", "free", "apriori", 5.0)]
     got = {r.method: r.times for r in speedup(spark.createDataFrame(rows, "dataset string, mode string, method string, minutes double")).collect()}
     assert got == {"ptree": 1.0, "apriori": 2.5}
+
+
+@pytest.mark.parametrize("v", ["xy", "x|y", "x=y", "x\\|y", "|", "="])
+def test_rules_don_t_depend_on_what_values_look_like(spark, v):
+    rows = [(v, "p"), (v, "p"), ("z", "q"), ("z", "p")]
+    out = mine_ptree(W.info_table(spark.createDataFrame(rows, "a string, `b|=` string"), ["a"], ["b|="]), "0.2", "0.5")
+    assert out.rules.count() == 5 and out.rules.select("antecedent", "consequent").distinct().count() == 5
+    assert {tuple(sorted((*r.x, *r.y))) for r in out.rules.collect()} == {tuple(r["items"]) for r in out.itemsets.where("k = 2").collect()}
+    any_ = mine_ptree(W.info_table(spark.createDataFrame(rows, "a string, `b|=` string"), ["a"], ["b|="]), "0.2", "0.5", consequent="any")
+    assert any_.rules.count() == 5
+
+
+def test_counting_ways_agree(spark, small):
+    want = {tuple(r["items"]): r.cnt for r in mine_ptree(small, "0.05", "0.4", counting="segments").itemsets.collect()}
+    for how in ({}, {"bound": True}, {"reuse": "none"}, {"counting": "words"}):
+        assert {tuple(r["items"]): r.cnt for r in mine_ptree(small, "0.05", "0.4", **how).itemsets.collect()} == want
+    sorted_ = W.InfoTable(small.df.coalesce(1).sortWithinPartitions(*small.attributes), small.conditions, small.decisions)
+    out = mine_ptree(sorted_, "0.05", "0.4", trees=Trees(sorted_, segment=4**4), bound=True)
+    assert {tuple(r["items"]): r.cnt for r in out.itemsets.collect()} == want
+    assert sum(x.spared for x in out.stats.levels) > 0
+
+
+def test_strong_rules_level_by_level(spark, small):
+    for how in ({}, {"decision": "e"}, {"decision": ["e", "b"]}, {"decision": "e", "conditions": ["a", "b"]}):
+        out = mine_ptree(small, "0.05", "0.4", emit="strong", **how)
+        assert rule_diff(out.rules, mine_ptree(small, "0.05", "0.4", **how).rules).count() == 0
+        assert sum(out.stats.strong.values()) == out.rules.count() > 0
+    with pytest.raises(ValueError, match="one consequent"):
+        mine_ptree(small, "0.05", "0.4", emit="strong", consequent="any")
+
+
+def test_appended_tuples_bring_new_values(spark):
+    schema = "a string, b string"
+    first = W.info_table(spark.createDataFrame([("x", "p")] * 3, schema), ["a"], ["b"])
+    more = spark.createDataFrame([("new", "p"), ("x", "other")], schema)
+    trees = append_segments(Trees(first), more)
+    got = {r.label: r.cnt for r in mine_ptree(first, "0.1", "0.1", trees=trees).itemsets.collect()}
+    assert got == {"a=x": 4, "b=p": 4, "a=new": 1, "b=other": 1, "a=x|b=p": 3, "a=new|b=p": 1, "a=x|b=other": 1}
+
+
+def test_short_segments_are_dealt_together(spark):
+    rng = np.random.default_rng(0)
+    wide = [tuple(f"v{x}" for x in rng.integers(0, 9, 14)) for _ in range(640)]
+    names = [f"c{i}" for i in range(14)]
+    info = W.info_table(spark.createDataFrame(wide, ", ".join(f"{c} string" for c in names)).repartition(64), names[:-1], names[-1:])
+    # One tuple of 14 attributes alone would have 16,383 frequent itemsets.
+    out = mine_segmented(info, "0.05", "0.5", segment=128, max_candidates=20_000)
+    want = mine_ptree(info, "0.05", "0.5")
+    assert {(r.label, r.cnt) for r in out.itemsets.collect()} == {(r.label, r.cnt) for r in want.itemsets.collect()}

@@ -2,6 +2,7 @@ import re
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from ptree_rules import catalogue
@@ -12,7 +13,7 @@ from ptree_rules.sources import workloads as W
 from ptree_rules.streaming import windows
 
 SF = "/root/testdata/sf0.001"
-SOME = ["item_dictionary", "pure_pruned_tree", "mask_tree", "and_nodes_equals_words", "rules_fixed_w1", "itemsets_w2", "rules_nonredundant", "worked_example_table", "cube_counts", "join_asof", "windowed_rules", "session_counts", "streaming_root_counts", "word_popcounts", "band_freq_exact"]
+SOME = ["item_dictionary", "level_counts_w1", "minsup_sweep_w1", "strong_rules_by_level_w1", "rules_applied", "range_count", "pure_pruned_tree", "mask_tree", "and_nodes_equals_words", "rules_fixed_w1", "itemsets_w2", "rules_nonredundant", "worked_example_table", "cube_counts", "join_asof", "windowed_rules", "session_counts", "streaming_root_counts", "word_popcounts", "band_freq_exact"]
 
 
 @pytest.fixture(scope="module")
@@ -65,7 +66,7 @@ def test_streams_equal_batches(spark, tmp_path):
     events = windows.events(spark, SF)
     events.sparkSession.read.parquet(f"{SF}/events.parquet").repartition(3).write.parquet(str(tmp_path / "events.parquet"))
     stream = windows.event_stream(spark, str(tmp_path), late="60 days")
-    got = {(r.start, r.event_type): r.cnt for r in windows.run_to_memory(windows.window_counts(stream, "1 day")).collect()}
+    got = {(r.start, r.event_type): r.cnt for r in windows.run_to_table(windows.window_counts(stream, "1 day")).collect()}
     assert got == {(r.start, r.event_type): r.cnt for r in windows.window_counts(events, "1 day").collect()}
 
 
@@ -88,3 +89,26 @@ def test_decayed_counts(spark):
 def test_formats(spark, fmt):
     part = tables.load(spark, SF, "part").select("p_partkey", "p_name", "p_size")
     assert tables.round_trip(part, fmt).exceptAll(part).count() == 0
+
+
+def split_events(spark, path, parts, seed=0):
+    """The events over files whose times interleave."""
+    df = tables.load(spark, SF, "events")
+    df.repartition(parts, F.xxhash64("event_id", F.lit(seed))).write.parquet(f"{path}/events.parquet")
+    return path
+
+
+def test_streamed_counts_lose_nothing_over_interleaved_files(spark, tmp_path):
+    folder = split_events(spark, str(tmp_path), 4)
+    want = {r.item: r.cnt for r in windows.streamed_root_counts(windows.event_stream(spark, SF)).collect()}
+    assert sum(want.values()) == 2 * tables.load(spark, SF, "events").count()
+    for files in (None, 1):
+        assert {r.item: r.cnt for r in windows.streamed_root_counts(windows.event_stream(spark, folder, files_per_batch=files)).collect()} == want
+
+
+def test_rows_later_than_the_watermark_are_reported(spark, tmp_path):
+    folder = split_events(spark, str(tmp_path), 4)
+    with pytest.raises(ValueError, match="later than the watermark"):
+        windows.streamed_root_counts(windows.event_stream(spark, folder, late="1 hour", files_per_batch=1))
+    short = windows.streamed_root_counts(windows.event_stream(spark, folder, late="1 hour", files_per_batch=1), most_late=10**6)
+    assert short.agg(F.sum("cnt")).first()[0] < 2 * tables.load(spark, SF, "events").count()
