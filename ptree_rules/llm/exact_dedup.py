@@ -1,23 +1,34 @@
-"""Exact dedup by a tree of hash aggregations over runs of digests, in place of merges of sorted runs; DataFrame functions only."""
+"""Exact dedup by a tree of merges over sorted runs of digests that partitions exchange in rounds; DataFrame functions only."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_back, id_or_least, table, text_or_empty, written
+from .common import discard, id_back, id_or_least, table, text_or_empty, written
 
 #: Runs that one merge of a round takes in.
 FAN_IN = 8
+_KEY = ["sha", "n", "check"]
+
+
+def _merged(rows: DataFrame, best, value: str, size: Column) -> DataFrame:
+    """Each partition's runs, sorted by digest, as one sorted run without repeats: rows that agree in SHA-256, length and a second
+    hash become one, with the identifier that stays and their number. The aggregation streams over the sort order (its value is
+    a struct, which Spark doesn't hash-aggregate), so a run is never held as a whole."""
+    runs = rows.repartition("part").sortWithinPartitions("part", *_KEY)
+    found = runs.groupBy("part", *_KEY).agg(best(F.struct(value)).alias("best"), size.alias("size"))
+    return found.select("part", *_KEY, F.col(f"best.{value}").alias("keep"), "size")
 
 
 def exact_groups(docs: DataFrame, keep: str = "smallest", fan_in: int = FAN_IN) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 for every row of docs(doc_id, text).
 
-    Each row's digest goes to one of fan_in^r runs by its id. A round merges fan_in neighbouring runs: rows that agree in
-    SHA-256, length and a second hash (the check on the digest) become one, which retains the identifier that stays and the
-    count. After r rounds one run is left. The decisions then go down the same tree, so at no step do more rows of one digest
-    meet than fan_in, or than one run holds; a group of copies with a third of all rows is spread over all runs.
+    fan_in^r partitions hold a sorted run of digests each, dealt by id. In each of r rounds, fan_in partitions that differ in one
+    digit of their number exchange their runs: a row goes to the one of them that its digest's digit names, where the runs that
+    arrive are merged and what agrees becomes one, verified anew at every level. After r rounds a partition has the one run of
+    its slice of all digests. The decisions then go back down the same tree. At no step do more rows of one digest meet than
+    fan_in, or than one run holds; a group of copies with a third of all rows is spread over all partitions at first.
 
     keep: 'smallest' or 'largest' doc_id. Null text is an empty text. Null ids come before all others; rows that repeat an id
     and its text are one document and are kept or dropped together. No rows give no rows. Other columns are ignored.
@@ -28,30 +39,32 @@ def exact_groups(docs: DataFrame, keep: str = "smallest", fan_in: int = FAN_IN)
     while runs < wanted:
         runs, rounds = runs * fan_in, rounds + 1
     text = text_or_empty()
-    key = ["sha", "n", "check"]
     rows = written(
         docs.select(
             id_or_least().alias("id"),
             F.unhex(F.sha2(text.cast("binary"), 256)).alias("sha"),
             F.octet_length(text).alias("n"),
             F.xxhash64(text).alias("check"),
-        ).withColumn("run", F.pmod(F.xxhash64("id"), F.lit(runs))),
+        ).withColumn("part", F.pmod(F.xxhash64("id"), F.lit(runs))),
         "digests",
     )
-    levels = [rows.groupBy(*key, "run").agg(best("id").alias("keep"), F.count("*").alias("size"))]
-    for _ in range(rounds):
-        merged = levels[-1].withColumn("run", F.floor(F.col("run") / fan_in).cast("long"))
-        levels.append(written(merged.groupBy(*key, "run").agg(best("keep").alias("keep"), F.sum("size").alias("size")), "runs"))
-    decided = levels[-1]
-    for level in [*levels[-2:0:-1], rows]:
-        if level is rows:
-            span = F.floor(F.col("run") / fan_in).cast("long")
-            own = [F.col("id"), F.col("run")]
-        else:
-            span, own = F.floor(F.col("run") / fan_in).cast("long"), [F.col("run")]
-        below = level.select(*key, *own, span.alias("above"))
-        above = decided.select(*key, F.col("run").alias("above"), "keep", "size")
-        decided = below.join(above, [*key, "above"]).drop("above")
+
+    def after(level: int) -> Column:
+        """A row's partition after so many rounds: that many digits of the digest's number, then those of its run's."""
+        span = fan_in ** (rounds - level)
+        return (F.floor(F.pmod("check", F.lit(runs)) / span) * span + F.col("part") % span).cast("long")
+
+    levels = [_merged(rows, best, "id", F.count("*"))]
+    for level in range(1, rounds + 1):
+        levels.append(written(_merged(levels[-1].withColumn("part", after(level)), best, "keep", F.sum("size")), "runs"))
+    decided = levels[rounds]
+    for level in range(rounds - 1, -1, -1):
+        # What the first merge made is not kept: rows go straight from their own partition to that after one round.
+        below = (levels[level].select(*_KEY, "part", after(level + 1).alias("above")) if level else rows.select(*_KEY, "id", after(1).alias("above")))
+        above = decided.select(*_KEY, F.col("part").alias("above"), "keep", "size")
+        decided = below.join(above, [*_KEY, "above"]).drop("above")
+    decided = written(decided, "decided")
+    discard(rows, *levels[1:])
     return decided.select(
         id_back("id").alias("doc_id"),
         id_back("keep").alias("keep_id"),
