@@ -3,13 +3,16 @@ seeded epochs."""
 
 from __future__ import annotations
 
-from collections.abc import Mapping
+from collections.abc import Iterator, Mapping
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import id_or_least, small_or_joined, table, text_or_empty, written
+from .byte_bpe import encode_column, slices
+from .common import discard, id_or_least, small_or_joined, table, text_or_empty, written
 
 #: Weights of the levels; what isn't named weighs 1.
 DOMAIN_WEIGHTS: Mapping[str, float] = {"d0": 4, "d1": 3, "d2": 2, "d3": 1}
@@ -29,9 +32,27 @@ def domain_of_source() -> Column:
     return F.when(digits == "", F.lit("none")).otherwise(F.concat(F.lit("d"), (digits.cast("long") % 4).cast("string")))
 
 
-def word_count() -> Column:
-    """Words of a text by white space: the token measure unless another column is given."""
-    return F.regexp_count(text_or_empty(), F.lit(r"[^\x20\x09-\x0D]+")).cast("long")
+def _counted(ranks: str, pattern: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sizes = np.zeros(batch.num_rows, np.int64)
+            texts = batch.column("text")
+            for lo, hi in slices(texts) if batch.num_rows else ():
+                sizes[lo:hi] = np.diff(encode_column(texts.slice(lo, hi - lo), ranks, pattern)[1])
+            yield pa.record_batch([batch.column("r"), pa.array(sizes)], ["r", "tokens"])
+
+    return run
+
+
+def with_tokens(rows: DataFrame, text: Column, ranks_path: str | None = None, pattern: str | None = None) -> DataFrame:
+    """rows with tokens, the number of ids of a text by the vocabulary that packing uses (see packing.tokenized_pieces)."""
+    if ranks_path is None:
+        import public_tokenizers as vocabularies
+
+        ranks_path, pattern = vocabularies.path("byte_bpe_50k.tiktoken"), vocabularies.PATTERN
+    boxed = rows.select(F.struct(*(F.col(f"`{c}`") for c in rows.columns if c not in ("text", "tokens"))).alias("r"), text.alias("text"))
+    out = boxed.mapInArrow(_counted(ranks_path, pattern), f"r {boxed.schema['r'].dataType.simpleString()}, tokens long")
+    return out.select("r.*", "tokens")
 
 
 def _weight(name: Column, weights: Mapping[str, float]) -> Column:
@@ -87,26 +108,19 @@ def _leaf() -> Column:
     return F.to_json(F.struct("domain", "lang", "source"))
 
 
-def mixed(
-    docs: DataFrame,
-    budget_share: float = BUDGET_SHARE,
-    max_epochs: int = MAX_EPOCHS,
-    seed: int = SEED,
-    weights: tuple[Mapping, Mapping, Mapping] = (DOMAIN_WEIGHTS, LANG_WEIGHTS, SOURCE_WEIGHTS),
-    domain: Column | None = None,
-    tokens: Column | None = None,
-) -> DataFrame:
-    """docs(doc_id, text, lang, source, ...) with domain, tokens, leaf_budget and copies: how many epochs take the document.
+def _sized(docs: DataFrame, domain: Column | None, tokens: Column | None) -> DataFrame:
+    """leaf, domain, lang, source, id, doc_id and tokens of every row; written, so texts are read and counted once."""
+    keyed = docs.select(*_place(domain), "lang", "source", "doc_id", *([] if tokens is None else [tokens.alias("tokens")]), "text")
+    keyed = keyed.withColumn("leaf", _leaf()).withColumn("id", id_or_least())
+    return written(keyed.drop("text") if tokens is not None else with_tokens(keyed, text_or_empty()), "sized")
 
-    A leaf's epochs each hold all its documents in an order by a hash of seed, epoch and id. Its budget takes whole epochs,
-    then of the next one the longest prefix that fits. Rows that repeat an id are taken or left together. Null language or
-    source is a value like any other, null text has no tokens; documents without tokens go with the prefix they stand in.
-    The prefix is found from sums per leaf and hash range, then within one range: no leaf is gathered or sorted as a whole,
-    and texts are never shuffled.
-    """
-    rows = docs.withColumn("domain", domain_of_source() if domain is None else domain).withColumn("tokens", word_count() if tokens is None else tokens)
-    rows = rows.withColumn("leaf", _leaf()).withColumn("id", id_or_least())
-    sized = written(rows.select("leaf", "domain", "lang", "source", "id", "tokens"), "sized")
+
+def _place(domain: Column | None) -> list[Column]:
+    return [(domain_of_source() if domain is None else domain).alias("domain")]
+
+
+def _ends(sized: DataFrame, budget_share: float, max_epochs: int, seed: int, weights: tuple[Mapping, Mapping, Mapping]) -> DataFrame:
+    """leaf, budget, whole epochs, and the place in the next epoch's order that its prefix ends at."""
     leaves = written(sized.groupBy("leaf", "domain", "lang", "source").agg(F.sum("tokens").alias("tokens")), "leaves")
     total = leaves.agg(F.sum("tokens")).collect()[0][0] or 0
     budgets = leaf_budgets(leaves, int(total * budget_share), max_epochs, weights)
@@ -126,17 +140,81 @@ def mixed(
     ends = plan.join(cut, "leaf", "left").join(inside, "leaf", "left")
     until = F.when(F.col("rest") <= 0, F.lit(-1)).when(F.col("bucket").isNull(), F.lit(2**63 - 1)).otherwise(F.coalesce("until", F.shiftleft(F.col("bucket"), _BUCKET_SHIFT) - 1))
     ends = written(ends.select("leaf", "budget", "whole", until.cast("long").alias("until")), "ends")
-    out = rows.join(small_or_joined(ends, FEW_LEAVES), "leaf")
-    copies = F.col("whole") + (_order(seed, F.col("whole")) <= F.col("until")).cast("int")
-    return out.select(*docs.columns, "domain", "tokens", F.col("budget").alias("leaf_budget"), copies.cast("int").alias("copies"))
+    discard(leaves, plan, cut)
+    return ends
 
 
-def mixed_documents(docs: DataFrame, **options) -> DataFrame:
+def _copies(seed: int) -> Column:
+    return (F.col("whole") + (_order(seed, F.col("whole")) <= F.col("until")).cast("int")).cast("int")
+
+
+def planned(
+    docs: DataFrame,
+    budget_share: float = BUDGET_SHARE,
+    max_epochs: int = MAX_EPOCHS,
+    seed: int = SEED,
+    weights: tuple[Mapping, Mapping, Mapping] = (DOMAIN_WEIGHTS, LANG_WEIGHTS, SOURCE_WEIGHTS),
+    domain: Column | None = None,
+    tokens: Column | None = None,
+) -> DataFrame:
+    """mixed() without the texts and other columns: doc_id, domain, lang, source, tokens, leaf_budget and copies of every row."""
+    sized = _sized(docs, domain, tokens)
+    out = sized.join(small_or_joined(_ends(sized, budget_share, max_epochs, seed, weights), FEW_LEAVES), "leaf")
+    return out.select("doc_id", "domain", "lang", "source", "tokens", F.col("budget").alias("leaf_budget"), _copies(seed).alias("copies"))
+
+
+def _with_ends(docs: DataFrame, domain: Column | None, tokens: Column | None, seed: int, **how) -> DataFrame:
+    """Every row as a struct r with its leaf's ends; own names are beside r, so no column of docs meets them."""
+    sized = _sized(docs, domain, tokens)
+    ends = _ends(sized, seed=seed, **how)
+    discard(sized)
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("r"), *_place(domain), "lang", "source", id_or_least().alias("id"), text_or_empty().alias("text"), *([] if tokens is None else [tokens.alias("counted")]))
+    return rows.withColumn("leaf", _leaf()).join(small_or_joined(ends, FEW_LEAVES), "leaf")
+
+
+def mixed(
+    docs: DataFrame,
+    budget_share: float = BUDGET_SHARE,
+    max_epochs: int = MAX_EPOCHS,
+    seed: int = SEED,
+    weights: tuple[Mapping, Mapping, Mapping] = (DOMAIN_WEIGHTS, LANG_WEIGHTS, SOURCE_WEIGHTS),
+    domain: Column | None = None,
+    tokens: Column | None = None,
+) -> DataFrame:
+    """docs(doc_id, text, lang, source, ...) with domain, tokens, leaf_budget and copies: how many epochs take the document.
+    Columns of these four names that docs have already are left out; all others come back as they are.
+
+    Tokens are ids of the packing vocabulary, or the given column. A leaf's epochs each hold all its documents in an order by
+    a hash of seed, epoch and id. Its budget takes whole epochs, then of the next one the longest prefix that fits. Rows that
+    repeat an id are taken or left together. Null language or source is a value like any other, null text has no tokens;
+    documents without tokens go with the prefix they stand in. The prefix is found from sums per leaf and hash range, then
+    within one range: no leaf is gathered or sorted as a whole, and texts are never shuffled. planned() and mixed_documents()
+    count each text once; this one counts again, as it returns texts and counts together. No rows give no rows.
+    """
+    out = _with_ends(docs, domain, tokens, seed, budget_share=budget_share, max_epochs=max_epochs, weights=weights)
+    own = [c for c in docs.columns if c not in ("domain", "tokens", "leaf_budget", "copies")]
+    out = out.withColumn("copies", _copies(seed))
+    if tokens is None:
+        out = with_tokens(out, F.col("text"))
+    else:
+        out = out.withColumn("tokens", F.col("counted"))
+    return out.select(*(F.col(f"r.`{c}`") for c in own), "domain", "tokens", F.col("budget").alias("leaf_budget"), "copies")
+
+
+def mixed_documents(
+    docs: DataFrame,
+    budget_share: float = BUDGET_SHARE,
+    max_epochs: int = MAX_EPOCHS,
+    seed: int = SEED,
+    weights: tuple[Mapping, Mapping, Mapping] = (DOMAIN_WEIGHTS, LANG_WEIGHTS, SOURCE_WEIGHTS),
+    domain: Column | None = None,
+    tokens: Column | None = None,
+) -> DataFrame:
     """docs, each row as often as its epochs take it. See mixed()."""
-    copies = F.explode(F.sequence(F.lit(1), F.col("copies")))
-    return mixed(docs, **options).where("copies > 0").select(*docs.columns, copies.alias("_epoch")).drop("_epoch")
+    out = _with_ends(docs, domain, tokens, seed, budget_share=budget_share, max_epochs=max_epochs, weights=weights).withColumn("copies", _copies(seed))
+    return out.where("copies > 0").select("r", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("r.*")
 
 
 def op2_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
-    return mixed(docs).select("doc_id", "domain", "lang", "source", "tokens", "leaf_budget", "copies")
+    return planned(docs)

@@ -1,9 +1,11 @@
 from collections import defaultdict
 
+import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
-from ptree_rules.llm.mixing import _order, leaf_budgets, mixed, mixed_documents
+from ptree_rules.llm.mixing import _order, leaf_budgets, mixed, mixed_documents, planned
 
 W = ({"d0": 4, "d1": 3}, {"en": 4, "de": 2}, {})
 
@@ -94,3 +96,25 @@ def test_hard_input(hard, none):
     assert out.count() == hard.count() and out.columns[: len(hard.columns)] == hard.columns
     check(hard, out)
     assert mixed(none).count() == 0
+
+
+def test_own_columns_survive_clashing_names(hard):
+    """Callers' columns of the operator's inner names, and of the names it adds."""
+    inner = ("id", "leaf", "budget", "whole", "until", "r", "counted", "at", "bucket")
+    docs = hard.select("*", *(F.concat(F.lit(f"{c}-"), F.coalesce(F.col("doc_id").cast("string"), F.lit("?"))).alias(c) for c in (*inner, "copies", "tokens", "domain")))
+    out = mixed(docs)
+    assert len(out.columns) == len(set(out.columns)) and set(out.columns) == {*docs.columns, "leaf_budget"}
+    rows = out.collect()
+    assert len(rows) == hard.count()
+    assert all(r[c] == f"{c}-{'?' if r.doc_id is None else r.doc_id}" for r in rows for c in inner)
+    assert mixed_documents(docs).columns == docs.columns
+
+
+def test_tokens_are_the_vocabulary_s(spark):
+    named = Tokenizer.from_file(str(public_tokenizers.path("byte_bpe_50k.json")))
+    texts = ["", None, "two words", "  spaces \n\n and lines\t", "véry lông " * 500, "<|endoftext|> inside", "word"]
+    docs = spark.createDataFrame([(i, t, "en", "s") for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string")
+    got = {r.doc_id: r.tokens for r in planned(docs).collect()}
+    assert got == {i: len(named.encode(t or "", add_special_tokens=False).ids) for i, t in enumerate(texts)}
+    given = {r.doc_id: r.tokens for r in mixed(docs, tokens=F.col("doc_id") * 2).collect()}
+    assert given == {i: 2 * i for i in range(len(texts))}
