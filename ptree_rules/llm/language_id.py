@@ -66,7 +66,8 @@ def _counts(buckets: int, lengths: tuple[int, ...]):
 def fit(labelled: DataFrame, fit_rows: int = FIT_ROWS, buckets: int = BUCKETS, lengths: tuple[int, ...] = LENGTHS, smoothing: float = SMOOTHING) -> tuple[list[str], np.ndarray, np.ndarray]:
     """(languages, log P(bucket | language) of shape (buckets, languages), log P(language)) from labelled(doc_id, text, lang).
 
-    Counting is distributed; it reads the fit_rows rows whose hashed id is least, a bounded sample of the labelled rows. What
+    Rows with a null text or language take no part; repeats count each time; other columns are ignored. Counting is
+    distributed; it reads the fit_rows rows whose hashed id is least, a bounded sample of the labelled rows. What
     comes to the driver is the count matrix, bounded by buckets times the sample's languages.
     """
     usable = labelled.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
@@ -104,7 +105,7 @@ def _scored(model, lengths: tuple[int, ...]):
                         total[lo + owner[begin]] += np.add.reduceat(given[bucket], begin, axis=0)
             best = total.argmax(1)
             p = 1 / np.exp(total - total.max(1, keepdims=True)).sum(1)
-            out = {n: batch.column(n) for n in batch.schema.names}
+            out = {"r": batch.column("r")}
             out["lang_pred"] = pa.array([langs[b] if k else UNKNOWN for b, k in zip(best.tolist(), known, strict=True)], pa.string())
             out["score"] = pa.array(np.where(known, p, 0.0))
             yield pa.RecordBatch.from_pydict(out)
@@ -113,14 +114,17 @@ def _scored(model, lengths: tuple[int, ...]):
 
 
 def identified(rows: DataFrame, model: tuple, lengths: tuple[int, ...] = LENGTHS) -> DataFrame:
-    """rows with lang_pred and score, the probability of that language given the whole text.
+    """rows(text, ...) with lang_pred and score, the probability of that language given the whole text; columns of these names
+    that rows have already are left out, and others come back as they are, every row once.
 
     A text that is null or has no letter is 'und' with score 0, as all are where nothing was learned. Ties go to the language
-    that is first by name. The matrix is broadcast (its size is fixed by the fit); scoring is narrow.
+    that is first by name. The matrix is broadcast (its size is fixed by the fit); scoring is narrow. No rows give no rows.
     """
     sent = rows.sparkSession.sparkContext.broadcast((model[0], model[1].astype(np.float32), model[2]))
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema)
-    return rows.mapInArrow(_scored(sent, lengths), f"{kinds}, lang_pred string, score double")
+    kept = [c for c in rows.columns if c not in ("lang_pred", "score")]
+    boxed = rows.select(F.struct(*(F.col(f"`{c}`") for c in kept)).alias("r"), "text")
+    out = boxed.mapInArrow(_scored(sent, lengths), f"r {boxed.schema['r'].dataType.simpleString()}, lang_pred string, score double")
+    return out.select("r.*", "lang_pred", "score")
 
 
 def held_out():
