@@ -126,22 +126,24 @@ def _within(out: MiningResult, conditions: Sequence[str] | None, criterion: str)
 
 
 def combination_counts(rows: DataFrame, items: ItemDict, sizes: Iterable[int], attributes: Sequence[str]) -> DataFrame:
-    """items and cnt of every combination of a row's items of the given attributes, weights added up: each row gives one row
+    """items and cnt of every combination of items of the given attributes in rows of coded(), weights added up: each row gives one row
     per subset of its attributes, and map-side sums go before the shuffle. More than MOST_SUBSETS subsets a row are an error."""
     subsets = [list(s) for k in sizes for s in combinations(range(len(attributes)), k)]
     if not subsets:
         return rows.sparkSession.createDataFrame([], "items array<int>, cnt long")
     if len(subsets) > MOST_SUBSETS:
         raise ValueError(f"{len(subsets)} combinations of attributes a row; set max_len, or use a method that doesn't enumerate")
-    each = F.array(*(items.code(a) for a in attributes))
+    codes = rows.select(*(F.col(f"item_{a}").alias(f"c{i}") for i, a in enumerate(attributes)), "weight")
     # A list of positions for each subset, spread over rows by an explode of a literal.
     chosen = F.explode(F.array(*(F.array(*map(F.lit, s)) for s in subsets)))
-    made = rows.select(each.alias("c"), "weight", chosen.alias("s")).select("weight", F.array_sort(F.transform("s", lambda i: F.get("c", i))).alias("items"))
+    made = codes.select(F.array(*(f"c{i}" for i in range(len(attributes)))).alias("c"), "weight", chosen.alias("s")).select("weight", F.array_sort(F.transform("s", lambda i: F.get("c", i))).alias("items"))
     return made.where(~F.exists("items", lambda x: x.isNull())).groupBy("items").agg(F.sum("weight").alias("cnt"))
 
 
-def _weighted(info: InfoTable, compacted: bool) -> DataFrame:
-    return compact(info.df, info.attributes) if compacted else info.df.withColumn("weight", F.lit(1).cast("long"))
+def coded(info: InfoTable, items: ItemDict, compacted: bool) -> DataFrame:
+    """The relation as item numbers (item_<attribute>) and weight, written: looked up once, however many combinations follow."""
+    rows = compact(info.df, info.attributes) if compacted else info.df.withColumn("weight", F.lit(1).cast("long"))
+    return written(rows.select(*(items.code(a).alias(f"item_{a}") for a in info.attributes), "weight"), "coded")
 
 
 def _enumerated(rows: DataFrame, items: ItemDict, attributes: Sequence[str], top: int, least: int) -> dict[Itemset, int]:
@@ -163,7 +165,7 @@ def mine_brute_force(info: InfoTable, minsup: Number, minconf: Number, consequen
     n = info.df.count()
     stats = MiningStats("brute force", n, len(items.items), 3)
     top = min(len(info.attributes), max_len or len(info.attributes))
-    counted = combination_counts(_weighted(info, True), items, range(1, top + 1), info.attributes)
+    counted = combination_counts(coded(info, items, True), items, range(1, top + 1), info.attributes)
     least = max(1, min_count(minsup, n, strict))
     counts = {tuple(r["items"]): r.cnt for r in counted.where(F.col("cnt") >= least).collect()}
     return derive(info.df.sparkSession, counts, items, n, minconf, consequent, None, strict, "none", stats)
@@ -174,7 +176,7 @@ def mine_rough_set(info: InfoTable, minsup: Number, minconf: Number, decision: s
     thresholds. Free: every attribute is the decision once, which is why this is the slowest. max_len bounds itemsets;
     compacted counts rows that agree in all attributes once, with a weight, which no other method is given."""
     items = build_items(info)
-    rows = written(_weighted(info, compacted), "rough-set")
+    rows = coded(info, items, compacted)
     n = rows.agg(F.sum("weight")).first()[0] or 0
     stats = MiningStats("rough set", n, len(items.items), 2)
     goals = list(info.attributes) if decision is None else [decision] if isinstance(decision, str) else list(decision)
