@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ptree_rules.llm import language_id, line_dedup, mixing, packing, simhash_alike
-from ptree_rules.llm.common import DOC_COLUMNS, written
+from ptree_rules.llm.common import DOC_COLUMNS, discard, written
 
 #: The language stage rejects what has no letter, and what the model gives a lower probability than this.
 LEAST_SCORE = 0.5
@@ -55,7 +55,10 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for i, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+        out = stage(spark, docs, sf_dir)
         if i < len(STAGES) - 1:
-            docs = written(docs, name.replace(" ", "-"))
+            out = written(out, name.replace(" ", "-"))
+        if i:  # the stage's input is read no more: the last one too has written its pieces by now
+            discard(docs)
+        docs = out
     return docs
