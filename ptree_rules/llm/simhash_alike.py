@@ -29,6 +29,8 @@ WORDS, WIDTH, EXCERPT = 8, 23, 29
 EXCERPT_FAR, FAR = 10, 45
 #: One in so many buckets is walked first; all others follow between the components so found.
 FIRST = 8
+#: Lists of up to so many classes go by their least class, so that what they share is joined once; longer ones go alone.
+SHORT = 64
 #: Up to so many rows, a table of ids is broadcast to the texts.
 FEW_ROWS = 200_000
 #: Bytes of sets that one batch holds, and names of lists that a task remembers.
@@ -136,22 +138,26 @@ def _tokens(alike: tuple[int, int]):
     return run
 
 
-def _ended(batches: Iterator[pa.RecordBatch], key) -> Iterator[dict[str, np.ndarray]]:
+def _columns(batches: list[pa.RecordBatch]) -> dict:
+    whole = pa.Table.from_batches(batches).combine_chunks()
+    columns = {c: whole.column(c).chunk(0) for c in whole.column_names}
+    return {c: x if pa.types.is_list(x.type) else x.to_numpy() for c, x in columns.items()}
+
+
+def _ended(batches: Iterator[pa.RecordBatch], key) -> Iterator[dict]:
     """A sorted partition's columns in parts that no run of equal keys crosses; key makes it of the columns."""
-    held: list[dict[str, np.ndarray]] = []
+    held: list[pa.RecordBatch] = []
     for batch in batches:
         if not batch.num_rows:
             continue
-        columns = {c: batch.column(c).to_numpy() for c in batch.schema.names}
-        keys = key(columns)
+        keys = key(_columns([batch]))
         last = int(np.searchsorted(keys, keys[-1])) if keys[0] != keys[-1] else 0
-        if held and key(held[0])[0] != keys[0] or last:
-            held.append({c: x[:last] for c, x in columns.items()})
-            yield {c: np.concatenate([h[c] for h in held]) for c in columns}
+        if held and key(_columns([held[0].slice(0, 1)]))[0] != keys[0] or last:
+            yield _columns([*held, *([batch.slice(0, last)] if last else [])])
             held = []
-        held.append({c: x[last:] for c, x in columns.items()})
+        held.append(batch.slice(last))
     if held:
-        yield {c: np.concatenate([h[c] for h in held]) for c in held[0]}
+        yield _columns(held)
 
 
 def _bounds(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -207,6 +213,39 @@ def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.record_batch([pa.array(np.concatenate(names)), pa.ListArray.from_arrays(at, np.concatenate(lists))], ["bucket", "classes"])
 
 
+def _listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each class of a list. A list's number is its own within the task; the last bit tells those that are walked first."""
+    at = 0
+    for batch in batches:
+        size, bucket = batch.column("classes").value_lengths().to_numpy(), batch.column("bucket").to_numpy()
+        number = np.arange(at, at + len(size)) << 1 | (bucket % FIRST == 0)
+        at += len(size)
+        hub = batch.column("hub").to_numpy()
+        yield pa.record_batch([pa.array(hub.repeat(size)), batch.column("classes").flatten(), pa.array(number.repeat(size))], ["hub", "cls", "number"])
+
+
+def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """A row for each class of a hub, with the numbers of the lists that it is in."""
+    for part in _ended(_listed(batches), lambda c: c["hub"]):
+        order = np.lexsort((part["number"], part["cls"], part["hub"]))
+        hub, cls, number = (part[c][order] for c in ("hub", "cls", "number"))
+        starts = np.flatnonzero(np.append(True, (hub[1:] != hub[:-1]) | (cls[1:] != cls[:-1])))
+        lists = pa.ListArray.from_arrays(np.append(starts, len(hub)).astype(np.int32), number)
+        yield pa.record_batch([pa.array(hub[starts]), pa.array(cls[starts]), lists], ["hub", "cls", "lists"])
+
+
+def _lists(part: dict, between: bool) -> Iterator[np.ndarray]:
+    """The rows of each list of the hubs in a part."""
+    number = part["lists"].flatten().to_numpy()
+    rows = np.repeat(np.arange(len(part["hub"])), part["lists"].value_lengths().to_numpy())
+    if not between:
+        rows, number = rows[number & 1 == 1], number[number & 1 == 1]
+    hub = part["hub"][rows]
+    order = np.lexsort((rows, number, hub))
+    rows, number, hub = rows[order], number[order], hub[order]
+    return iter(np.split(rows, np.flatnonzero((hub[1:] != hub[:-1]) | (number[1:] != number[:-1])) + 1) if len(rows) else [])
+
+
 def _distances(n: np.ndarray, prints: np.ndarray, i: int, rows: np.ndarray, alike: tuple[int, int]) -> np.ndarray:
     """Differing bits between print i and those of the rows; beyond all bounds where the sizes can't be alike."""
     low, high = np.minimum(n[rows], n[i]), np.maximum(n[rows], n[i])
@@ -254,11 +293,11 @@ def _between(g: dict[str, np.ndarray], alike: tuple[int, int]) -> Iterator[tuple
 
 def _pairs(alike: tuple[int, int], between: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in _ended(batches, lambda c: c["bucket"]):
+        for part in _ended(batches, lambda c: c["hub"]):
             prints, found = _prints(part)[:, :3], []
             prints[:, 2] &= np.uint64((1 << (WORDS * WIDTH - 128)) - 1)
-            for a, b in zip(*(x.tolist() for x in _bounds(part["bucket"])), strict=True):
-                g = {c: part[c][a:b] for c in ("cls", "n", *(["root"] if between else []))} | {"prints": prints[a:b]}
+            for rows in _lists(part, between):
+                g = {c: part[c][rows] for c in ("cls", "n", *(["root"] if between else []))} | {"prints": prints[rows]}
                 found += [(np.full(len(y), g["cls"][x]), g["cls"][y]) for x, y in (_between if between else _tree)(g, alike)]
             if found:
                 x, y = (np.concatenate([f[i] for f in found]) for i in (0, 1))
@@ -312,8 +351,8 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, alike: tuple[int, int]
     by fuzzy keys (wide_keys); of those that met, a walk over near prints gives pairs, whose sets are counted: a link is a
     Jaccard similarity of alike[0]/alike[1] or more, and a component's name is the least id in it. One bucket in FIRST is walked;
     between the components so found, the nearest pairs of every bucket are counted too, so that a large group isn't paired
-    as a whole. No link is
-    wrong. How many are found depends on the similarity (tests measure it: about 0.86 of lone pairs at 0.8, 0.98 at 0.9 and
+    as a whole. Lists of at most SHORT classes that share a bucket are gathered by their least class, and a class is joined with its
+    print once for all of them: 616 lists at most, so a hub is bounded whatever the group. No link is wrong. How many are found depends on the similarity (tests measure it: about 0.86 of lone pairs at 0.8, 0.98 at 0.9 and
     all from 0.95 on); copies in groups are mostly linked through others. Null or empty text is a set without members.
     """
     docs = docs.select(id_or_least().alias("id"), text_or_empty().alias("text"))
@@ -324,15 +363,17 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, alike: tuple[int, int]
     key = F.shiftright("token", EXCERPT)
     met = classes.select("cls", "n", *_PRINT).mapInArrow(_tokens(alike), "token long, cls long").repartition(key).sortWithinPartitions("token")
     buckets = written(met.mapInArrow(_buckets, "bucket long, classes array<long>").dropDuplicates(["bucket"]), "buckets")
-    members = buckets.select("bucket", F.explode("classes").alias("cls")).join(classes.select("cls", "n", *_PRINT), "cls")
+    hub = F.when(F.size("classes") <= SHORT, F.array_min("classes")).otherwise(F.col("bucket"))
+    lists = buckets.select(hub.alias("hub"), "bucket", "classes").repartition("hub").sortWithinPartitions("hub")
+    members = lists.mapInArrow(_gathered, "hub long, cls long, lists array<long>").join(classes.select("cls", "n", *_PRINT), "cls")
     members = written(members, "members")
     # A large group is linked by few of its many buckets; the rest are asked only what is not linked by then.
-    first = members.where(F.pmod("bucket", F.lit(FIRST)) == 0)
-    walk = first.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_pairs(alike, False), "a long, b long")
+    first = members.where(F.exists("lists", lambda x: x.bitwiseAND(1) == 1))
+    walk = first.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(_pairs(alike, False), "a long, b long")
     links = _alike(docs, classes, walk, shingle, alike)
     roots = components(links)
     placed = members.join(roots, F.col("cls") == F.col("node"), "left").select(*members.columns, F.coalesce("root", "cls").alias("root"))
-    rest = placed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_pairs(alike, True), "a long, b long")
+    rest = placed.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(_pairs(alike, True), "a long, b long")
     more = _alike(docs, classes, rest, shingle, alike)
     roots = components(links.unionByName(more))
     known = classes.join(roots, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("root", "cls").alias("root"))

@@ -2,8 +2,10 @@ from collections import Counter
 from itertools import combinations
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
+from ptree_rules.llm import simhash_alike
 from ptree_rules.llm.simhash_alike import near_copies, one_of_each_group, shingles, wide_keys, wide_print
 
 pipeline = pytest.importorskip("corpus_pipeline")
@@ -119,6 +121,34 @@ def test_large_group_and_chain(spark):
     never_wrong(found(spark.createDataFrame(rows, "doc_id long, text string")), brute(rows), 0.95)
 
 
+@pytest.mark.parametrize("short", [1, 3, 10_000])
+def test_lists_gathered_or_alone(spark, monkeypatch, short):
+    """Whether lists go by their least class or by themselves changes no component."""
+    rng = np.random.default_rng(6)
+    base = [f"w{i}" for i in rng.integers(0, 500, 200)]
+    rows = []
+    for i in range(60):
+        text = list(base)
+        for at in rng.integers(0, 200, 1 + i % 4):
+            text[at] = f"new{i}-{at}"
+        rows.append((i, " ".join(text)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = found(docs)
+    monkeypatch.setattr(simhash_alike, "SHORT", short)
+    assert found(docs) == want
+
+
+def test_parts_hold_whole_keys_and_lists():
+    """Rows of one key, and their lists, stay together over batches of any size."""
+    keys, lists = [1, 1, 1, 2, 3, 3, 5, 5, 5, 5], [[i] * (i % 3) for i in range(10)]
+    whole = pa.record_batch([pa.array(keys), pa.array(lists, pa.list_(pa.int64()))], ["key", "lists"])
+    for size in (1, 2, 3, 10):
+        parts = list(simhash_alike._ended((whole.slice(i, size) for i in range(0, 10, size)), lambda c: c["key"]))
+        assert [k for p in parts for k in p["key"].tolist()] == keys
+        assert [x for p in parts for x in p["lists"].to_pylist()] == lists
+        assert all(set(a["key"]).isdisjoint(b["key"]) for a, b in combinations(parts, 2))
+
+
 def test_hard_input(hard, none):
     assert found(hard) == brute([(r.doc_id, r.text) for r in hard.collect()])
     assert near_copies(none).count() == 0
