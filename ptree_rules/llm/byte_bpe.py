@@ -81,7 +81,7 @@ def _rows(texts: pa.Array, wanted: np.ndarray) -> list[str | None]:
     return [texts[i].as_py() if w else None for i, w in enumerate(wanted)]
 
 
-def slices(texts: pa.Array, most_bytes: int = 12_000_000):
+def slices(texts: pa.Array, most_bytes: int = 4_000_000):
     """(from, to) of runs of texts that hold about so many bytes."""
     sizes = pc.binary_length(texts).to_numpy(zero_copy_only=False).astype(np.int64)
     lot = np.cumsum(sizes) // most_bytes

@@ -3,11 +3,14 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import re
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,6 +20,9 @@ DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 NO_ID = -(2**63)
 #: Makes a finished job give up its shuffle files at once, not when the driver next collects garbage.
 _FREE_SHUFFLES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Bytes of a batch that goes to a Python worker: ten thousand rows of long texts would be held several times over.
+_BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
+_WHILE_WRITING = {_FREE_SHUFFLES: "true", _BATCH_BYTES: str(8 << 20)}
 
 _own: dict[str, str] = {}
 
@@ -42,15 +48,18 @@ def shared_dir(spark: SparkSession) -> str:
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as a Parquet table in the shared folder: lineage ends there, and a lost executor costs no recomputation. As nothing
-    reads the job's shuffles after that, their files go with it; the session's own setting holds again afterwards."""
+    reads the job's shuffles after that, their files go with it, and batches are bounded by bytes; the session's own settings hold
+    again afterwards."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    before = spark.conf.get(_FREE_SHUFFLES, None)
-    spark.conf.set(_FREE_SHUFFLES, "true")
+    before = {k: spark.conf.get(k, None) for k in _WHILE_WRITING}
+    for k, v in _WHILE_WRITING.items():
+        spark.conf.set(k, v)
     try:
         df.write.parquet(path)
     finally:
-        spark.conf.unset(_FREE_SHUFFLES) if before is None else spark.conf.set(_FREE_SHUFFLES, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
     out = spark.read.schema(df.schema).parquet(path)
     out._written_at = path  # for discard()
     return out
@@ -64,6 +73,19 @@ def discard(*dfs: DataFrame) -> None:
         where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def giving_back(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
+    """run, after which a Python worker gives what it has freed back to the system: workers wait for further tasks, and the
+    next stage's would add to what they still hold."""
+
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):  # of the GNU C library only
+            trim(0)
+
+    return whole
+
+
 def text_or_empty(text: str = "text") -> Column:
     return F.coalesce(F.col(text), F.lit(""))
 

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import giving_back, table
 
 #: Hashed buckets, n-gram lengths in characters, additive smoothing, and the most labelled rows that a fit reads.
 BUCKETS, LENGTHS, SMOOTHING, FIT_ROWS = 1 << 15, (1, 2, 3), 0.5, 12_000
@@ -105,7 +105,7 @@ def _scored(model, lengths: tuple[int, ...]):
                         total[lo + owner[begin]] += np.add.reduceat(given[bucket], begin, axis=0)
             best = total.argmax(1)
             p = 1 / np.exp(total - total.max(1, keepdims=True)).sum(1)
-            out = {"r": batch.column("r")}
+            out = {"r": batch.column("r"), "text": batch.column("text")}
             out["lang_pred"] = pa.array([langs[b] if k else UNKNOWN for b, k in zip(best.tolist(), known, strict=True)], pa.string())
             out["score"] = pa.array(np.where(known, p, 0.0))
             yield pa.RecordBatch.from_pydict(out)
@@ -122,9 +122,11 @@ def identified(rows: DataFrame, model: tuple, lengths: tuple[int, ...] = LENGTHS
     """
     sent = rows.sparkSession.sparkContext.broadcast((model[0], model[1].astype(np.float32), model[2]))
     kept = [c for c in rows.columns if c not in ("lang_pred", "score")]
-    boxed = rows.select(F.struct(*(F.col(f"`{c}`") for c in kept)).alias("r"), "text")
-    out = boxed.mapInArrow(_scored(sent, lengths), f"r {boxed.schema['r'].dataType.simpleString()}, lang_pred string, score double")
-    return out.select("r.*", "lang_pred", "score")
+    others = [F.col(f"`{c}`") for c in kept if c != "text"] or [F.lit(0).alias("none")]
+    boxed = rows.select(F.struct(*others).alias("r"), "text")  # a text goes to Python once
+    kinds = f"r {boxed.schema['r'].dataType.simpleString()}, text string, lang_pred string, score double"
+    out = boxed.mapInArrow(giving_back(_scored(sent, lengths)), kinds)
+    return out.select(*(F.col("text" if c == "text" else f"r.`{c}`") for c in kept), "lang_pred", "score")
 
 
 def held_out():

@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .byte_bpe import encode_column, slices
-from .common import discard, id_or_least, small_or_joined, table, text_or_empty, written
+from .common import discard, giving_back, id_or_least, small_or_joined, table, text_or_empty, written
 
 #: Weights of the levels; what isn't named weighs 1.
 DOMAIN_WEIGHTS: Mapping[str, float] = {"d0": 4, "d1": 3, "d2": 2, "d3": 1}
@@ -51,7 +51,7 @@ def with_tokens(rows: DataFrame, text: Column, ranks_path: str | None = None, pa
 
         ranks_path, pattern = vocabularies.path("byte_bpe_50k.tiktoken"), vocabularies.PATTERN
     boxed = rows.select(F.struct(*(F.col(f"`{c}`") for c in rows.columns if c not in ("text", "tokens"))).alias("r"), text.alias("text"))
-    out = boxed.mapInArrow(_counted(ranks_path, pattern), f"r {boxed.schema['r'].dataType.simpleString()}, tokens long")
+    out = boxed.mapInArrow(giving_back(_counted(ranks_path, pattern)), f"r {boxed.schema['r'].dataType.simpleString()}, tokens long")
     return out.select("r.*", "tokens")
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .byte_bpe import encode_column, slices
-from .common import table, text_or_empty, written
+from .common import giving_back, table, text_or_empty, written
 
 SEQUENCE, END_ID = 1024, 2
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -192,7 +192,7 @@ def tokenized_pieces(docs: DataFrame, capacity: int = SEQUENCE, ranks_path: str
         import public_tokenizers as vocabularies
 
         ranks_path, pattern = vocabularies.path("byte_bpe_50k.tiktoken"), vocabularies.PATTERN
-    run = _tokenized(ranks_path, pattern, capacity)
+    run = giving_back(_tokenized(ranks_path, pattern, capacity))
     return docs.select(F.col("doc_id").cast("long"), text_or_empty().alias("text")).mapInArrow(run, _PIECES)
 
 

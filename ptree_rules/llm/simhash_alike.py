@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, discard, id_or_least, small_or_joined, text_or_empty, written
+from .common import NO_ID, discard, giving_back, id_or_least, small_or_joined, text_or_empty, written
 from .components import components
 from .simhash import nearby_codewords, nearest_codeword
 
@@ -335,7 +335,7 @@ def _alike(docs: DataFrame, classes: DataFrame, pairs: DataFrame, shingle: int,
     wanted = written(classes.select("cls", "least").join(nodes, "cls").select("least").distinct(), "wanted")
     texts = docs.join(small_or_joined(wanted, FEW_ROWS), F.col("id") == F.col("least")).select("text")
     # Rows that repeat an id may bring other classes along, and copies of the same.
-    sets = written(texts.mapInArrow(_sets(shingle), "cls long, found array<long>").dropDuplicates(["cls"]), "sets")
+    sets = written(texts.mapInArrow(giving_back(_sets(shingle)), "cls long, found array<long>").dropDuplicates(["cls"]), "sets")
     one, two = sets.select(F.col("cls").alias("a"), F.col("found").alias("of_a")), sets.select(F.col("cls").alias("b"), F.col("found").alias("of_b"))
     shared = F.size(F.array_intersect("of_a", "of_b"))
     out = pairs.join(one, "a").join(two, "b").where(shared * sum(alike) >= (F.size("of_a") + F.size("of_b")) * alike[0]).select("a", "b")
@@ -357,23 +357,23 @@ def near_copies(docs: DataFrame, shingle: int = SHINGLE, alike: tuple[int, int]
     """
     docs = docs.select(id_or_least().alias("id"), text_or_empty().alias("text"))
     words = ", ".join(f"{c} long" for c in _PRINT)
-    described = written(docs.mapInArrow(_described(shingle), f"id long, cls long, n int, {words}"), "described")
+    described = written(docs.mapInArrow(giving_back(_described(shingle)), f"id long, cls long, n int, {words}"), "described")
     classes = described.groupBy("cls").agg(F.min("id").alias("least"), *(F.any_value(c).alias(c) for c in ("n", *_PRINT)))
     classes = written(classes, "classes")
     key = F.shiftright("token", EXCERPT)
-    met = classes.select("cls", "n", *_PRINT).mapInArrow(_tokens(alike), "token long, cls long").repartition(key).sortWithinPartitions("token")
-    buckets = written(met.mapInArrow(_buckets, "bucket long, classes array<long>").dropDuplicates(["bucket"]), "buckets")
+    met = classes.select("cls", "n", *_PRINT).mapInArrow(giving_back(_tokens(alike)), "token long, cls long").repartition(key).sortWithinPartitions("token")
+    buckets = written(met.mapInArrow(giving_back(_buckets), "bucket long, classes array<long>").dropDuplicates(["bucket"]), "buckets")
     hub = F.when(F.size("classes") <= SHORT, F.array_min("classes")).otherwise(F.col("bucket"))
     lists = buckets.select(hub.alias("hub"), "bucket", "classes").repartition("hub").sortWithinPartitions("hub")
-    members = lists.mapInArrow(_gathered, "hub long, cls long, lists array<long>").join(classes.select("cls", "n", *_PRINT), "cls")
+    members = lists.mapInArrow(giving_back(_gathered), "hub long, cls long, lists array<long>").join(classes.select("cls", "n", *_PRINT), "cls")
     members = written(members, "members")
     # A large group is linked by few of its many buckets; the rest are asked only what is not linked by then.
     first = members.where(F.exists("lists", lambda x: x.bitwiseAND(1) == 1))
-    walk = first.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(_pairs(alike, False), "a long, b long")
+    walk = first.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(giving_back(_pairs(alike, False)), "a long, b long")
     links = _alike(docs, classes, walk, shingle, alike)
     roots = components(links)
     placed = members.join(roots, F.col("cls") == F.col("node"), "left").select(*members.columns, F.coalesce("root", "cls").alias("root"))
-    rest = placed.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(_pairs(alike, True), "a long, b long")
+    rest = placed.repartition("hub").sortWithinPartitions("hub", "cls").mapInArrow(giving_back(_pairs(alike, True)), "a long, b long")
     more = _alike(docs, classes, rest, shingle, alike)
     roots = components(links.unionByName(more))
     known = classes.join(roots, F.col("cls") == F.col("node"), "left").select("cls", "least", F.coalesce("root", "cls").alias("root"))

@@ -21,6 +21,11 @@ def test_texts_without_letters_are_und(hard, none):
     assert identified(none.select("doc_id", "text"), model).count() == 0
 
 
+def test_text_alone(hard):
+    got = identified(hard.select("text"), fit(hard))
+    assert got.columns == ["text", "lang_pred", "score"] and got.count() == hard.count()
+
+
 def test_nothing_learned(hard, none):
     got = identified(hard.select("doc_id", "text"), fit(none)).collect()
     assert len(got) == hard.count() and {(r.lang_pred, r.score) for r in got} == {("und", 0.0)}
