@@ -1,9 +1,9 @@
 """Queries over small tables of known content, and against their SQL."""
 
 import duckdb
-import pytest
 
 from ptree_rules import catalogue
+from ptree_rules.functions.bits import padded_size, register_sql
 
 SF = "/root/testdata/sf0.001"
 
@@ -35,3 +35,18 @@ def test_and_mask_table_ands_the_trees_of_orders(spark, tmp_path):
     assert sorted(r[1:] for r in got if r[2] == 4) == [(i, 4, *p, w) for i, (p, w) in enumerate(zip(pairs, want, strict=True))] + [(10, 4, "0", "0", "0"), (11, 4, "m", "m", "recurse")]
     assert {r[:3] for r in got if r[2] > 4} == {(0, 0, 64), (1, 0, 16), (1, 1, 16), (1, 2, 16)}
     assert len(equals_sql(spark, "and_mask_table", SF, orders="")) > 375
+
+
+def test_padded_size_sql_pads_the_orders_of_customers(spark, tmp_path):
+    sizes = {7: 1, 8: 15, 9: 16, 10: 17, 11: 32, 12: 33, None: 65}
+    spark.createDataFrame([(c,) for c, n in sizes.items() for _ in range(n)], "o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    got = equals_sql(spark, "padded_size_sql", tmp_path, orders="/*.parquet")
+    assert {c: (n, slots) for c, n, slots in got} == {c: (n, padded_size(n)) for c, n in sizes.items()}
+    assert sum(n for _, n, _ in equals_sql(spark, "padded_size_sql", SF, orders="")) == 1500
+
+
+def test_padded_size_in_sql_is_exact_at_powers_of_two(spark):
+    register_sql(spark)
+    sizes = sorted({n for i in range(62) for n in (2**i - 1, 2**i, 2**i + 1)})
+    got = spark.createDataFrame([(n,) for n in sizes], "n long").selectExpr("n", "padded_size(n) AS slots").collect()
+    assert [tuple(r) for r in got] == [(n, padded_size(n)) for n in sizes]
