@@ -1,9 +1,11 @@
 """Queries over small tables of known content, and against their SQL."""
 
 import duckdb
+import pytest
+from pyspark.sql import functions as F
 
 from ptree_rules import catalogue
-from ptree_rules.functions.bits import padded_size, register_sql
+from ptree_rules.functions.bits import padded_size, padded_slots, register_sql
 
 SF = "/root/testdata/sf0.001"
 
@@ -50,3 +52,19 @@ def test_padded_size_in_sql_is_exact_at_powers_of_two(spark):
     sizes = sorted({n for i in range(62) for n in (2**i - 1, 2**i, 2**i + 1)})
     got = spark.createDataFrame([(n,) for n in sizes], "n long").selectExpr("n", "padded_size(n) AS slots").collect()
     assert [tuple(r) for r in got] == [(n, padded_size(n)) for n in sizes]
+
+
+def test_padded_sizes_pads_the_lines_of_parts(spark, tmp_path):
+    sizes = {1: 8, 2: 15, 3: 16, 4: 17, 5: 64, None: 65}
+    spark.createDataFrame([(p,) for p, n in sizes.items() for _ in range(n)], "l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = equals_sql(spark, "padded_sizes", tmp_path, lineitem="/*.parquet")
+    want = {8: (16, 16, 16), 15: (16, 16, 16), 16: (16, 16, 32), 17: (32, 64, 32), 64: (64, 64, 128), 65: (128, 256, 128)}
+    assert {p: (n, *slots) for p, n, *slots in got} == {p: (n, *want[n]) for p, n in sizes.items()}
+    assert sum(r[1] for r in equals_sql(spark, "padded_sizes", SF, lineitem="")) == 6000
+
+
+@pytest.mark.parametrize("how", [{}, {"pad": "pow4"}, {"pad_exact": True}, {"pad": "pow4", "pad_exact": True}, {"minimum": 0}, {"minimum": 1, "pad_exact": True}, {"minimum": 100, "pad": "pow4"}])
+def test_padding_a_column_is_padding_each_number(spark, how):
+    sizes = [0, *sorted({n for i in range(61) for n in (2**i - 1, 2**i, 2**i + 1)})]
+    got = spark.createDataFrame([(n,) for n in [*sizes, None]], "n long").select("n", padded_slots(F.col("n"), **how)).collect()
+    assert {n: slots for n, slots in got} == {n: padded_size(n, **how) for n in sizes} | {None: None}
