@@ -1,5 +1,7 @@
 """Queries over small tables of known content, and against their SQL."""
 
+from datetime import datetime, timedelta
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
@@ -68,3 +70,14 @@ def test_padding_a_column_is_padding_each_number(spark, how):
     sizes = [0, *sorted({n for i in range(61) for n in (2**i - 1, 2**i, 2**i + 1)})]
     got = spark.createDataFrame([(n,) for n in [*sizes, None]], "n long").select("n", padded_slots(F.col("n"), **how)).collect()
     assert {n: slots for n, slots in got} == {n: padded_size(n, **how) for n in sizes} | {None: None}
+
+
+def test_raster_tree_counts_the_weeks_of_users(spark, tmp_path):
+    sunday = datetime(2024, 1, 7)
+    rows = [(1, sunday + timedelta(hours=h)) for h in range(168)] + [(1, sunday + timedelta(days=7)), (1, None), (3, None)]
+    rows += [(2, sunday + timedelta(days=3, hours=11, minutes=59)), (2, sunday + timedelta(days=4, hours=12)), (2, sunday + timedelta(days=11, hours=14)), (None, sunday)]
+    spark.createDataFrame(rows, "user_id long, ts timestamp_ntz").write.parquet(f"{tmp_path}/events.parquet")
+    got = equals_sql(spark, "raster_tree", tmp_path, events="/*.parquet")
+    want = {1: (56, 16, 16, 12, 12), 2: (2, 1, 0, 0, 1), None: (1, 1, 0, 0, 0)}
+    assert set(got) == {(u, min(i, 1), max(i - 1, 0), n) for u, counts in want.items() for i, n in enumerate(counts) if n}
+    assert len(equals_sql(spark, "raster_tree", SF, events="")) > 15
