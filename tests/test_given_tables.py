@@ -81,3 +81,12 @@ def test_raster_tree_counts_the_weeks_of_users(spark, tmp_path):
     want = {1: (56, 16, 16, 12, 12), 2: (2, 1, 0, 0, 1), None: (1, 1, 0, 0, 0)}
     assert set(got) == {(u, min(i, 1), max(i - 1, 0), n) for u, counts in want.items() for i, n in enumerate(counts) if n}
     assert len(equals_sql(spark, "raster_tree", SF, events="")) > 15
+
+
+def test_truth_table_counts_order_lines(spark, tmp_path):
+    lines = [("R", "O", 34.0), ("R", "O", 33.0), ("R", "O", 33.0), ("A", "F", 50.0), ("N", None, 1.0), (None, "O", None)]
+    spark.createDataFrame(lines, "l_returnflag string, l_linestatus string, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = equals_sql(spark, "truth_table", tmp_path, lineitem="/*.parquet")
+    counts = {7: 1, 6: 2, 1: 1, 0: 1, 2: 1}
+    assert sorted(got) == [(i, i >> 2, i >> 1 & 1, i & 1, counts.get(i, 0)) for i in range(8)]
+    assert sum(r[-1] for r in equals_sql(spark, "truth_table", SF, lineitem="")) == 6000
